@@ -1,0 +1 @@
+"""A PySpark-native engine for fast distributed matrix multiplication."""
