@@ -81,7 +81,7 @@ def dense_products(a: DataFrame, b: DataFrame, keys: list[str], tile: int, dtype
 
     def product(x: pd.DataFrame, y: pd.DataFrame) -> pd.DataFrame:
         if not len(x) or not len(y):
-            return pd.DataFrame({c: [] for c in (*keys, "bi", "bj", "vals")})
+            return pd.DataFrame({c: pd.Series([], dtype="object" if c == "vals" else "int64") for c in (*keys, "bi", "bj", "vals")})
         inner = np.union1d(x["bj"].unique(), y["bi"].unique())
         rows, cols = np.unique(x["bi"]), np.unique(y["bj"])
         if per and leaf.levels:

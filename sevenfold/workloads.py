@@ -1,0 +1,468 @@
+"""Named queries over the given tables, with SQL for each that SQL can express."""
+
+from __future__ import annotations
+
+from pyspark.sql import Window
+from pyspark.sql import functions as F
+
+from sevenfold.functions.udfs import frobenius_udaf, register
+from sevenfold.operators import accuracy, grids, ledger
+from sevenfold.operators import relational as rel
+from sevenfold.operators.hybrid import budgeted, chain_multiply, hybrid, peel, power, sql_multiply, wide
+from sevenfold.operators.leaf import LeafSpec
+from sevenfold.operators.tiles import cells_to_tiles, durable, read_tiles, tiles_to_cells, write_tiles
+from sevenfold.operators.tiles import transpose as transpose_tiles
+from sevenfold.plans.costs import METHODS
+from sevenfold.sources.matrices import EMBED_SQL, FOLD_SQL, PRODUCT_SQL, TRADE_SQL, cells_from, embedding_cells, fold_pair, table, trade
+from sevenfold.streaming import windows as st
+
+QUERIES: dict = {}
+ORACLES: dict[str, str] = {}
+TILES = {56: 4, 224: 8, 672: 24}
+FOLD_PRODUCT = f"WITH {FOLD_SQL} {PRODUCT_SQL}"
+
+
+def query(name: str, sql: str | None = None):
+    def put(f):
+        QUERIES[name] = f
+        if sql:
+            ORACLES[name] = sql
+        return f
+
+    return put
+
+
+def _cells(df):
+    return df.select(F.col("i").cast("long").alias("i"), F.col("j").cast("long").alias("j"), F.col("v").cast("long").alias("v"))
+
+
+def _fold_tiles(spark, d):
+    a, b, n = fold_pair(spark, d)
+    return tuple(cells_to_tiles(x, n, n, TILES[n]) for x in (a, b))
+
+
+# ------------------------------------------------------- the product by every method
+MULTIPLIERS = {
+    "w_hybrid_wide": lambda a, b: wide(a, b, 49),
+    "w_hybrid_stepwise": lambda a, b: wide(a, b, 49, exchange="stepwise"),
+    "w_hybrid_fused": lambda a, b: wide(a, b, 49, fuse=2),
+    "w_hybrid_budgeted": lambda a, b: budgeted(a, b, 7, 9 * a.n_rows**2 / 7),
+    "w_hybrid_interleaved": lambda a, b: hybrid(a, b, "WS"),
+    "w_hybrid_c3": lambda a, b: hybrid(a, b, "W", c=3),
+    "w_hybrid_s7a18": lambda a, b: hybrid(a, b, "WW", scheme="s7a18"),
+    "w_hybrid_c8": lambda a, b: hybrid(a, b, "WW", scheme="c8"),
+    "w_hybrid_tensor4": lambda a, b: hybrid(a, b, "W", scheme="tensor4"),
+    "w_leaf_fast": lambda a, b: hybrid(a, b, "W", leaf=LeafSpec(levels=2, cutoff=8)),
+    "w_leaf_tiles": lambda a, b: hybrid(a, b, "W", leaf=LeafSpec(kind="tiles")),
+    "w_grid2d": lambda a, b: grids.grid2d(a, b, 4),
+    "w_grid2d_shift": lambda a, b: grids.grid2d_shift(a, b, 4),
+    "w_grid3d": lambda a, b: grids.grid3d(a, b, 2),
+    "w_grid25d": lambda a, b: grids.grid25d(a, b, 32, 2),
+    "w_grid2d_fast": lambda a, b: grids.grid2d_fast(a, b, 2),
+    "w_fast_grid2d": lambda a, b: grids.fast_grid2d(a, b, 1, 2),
+    "w_fast_grid2d_packed": lambda a, b: grids.fast_grid2d(a, b, 1, 2, pack=True),
+    "w_grid25d_fast": lambda a, b: grids.grid25d_fast(a, b, 32, 2),
+    "w_fast_grid25d": lambda a, b: grids.fast_grid25d(a, b, 8, 2, levels=1),
+}
+for _name, _multiply in MULTIPLIERS.items():
+    query(_name, FOLD_PRODUCT)(lambda spark, d, f=_multiply: _cells(tiles_to_cells(f(*_fold_tiles(spark, d)))))
+
+
+@query("w_lib_block", FOLD_PRODUCT)
+def w_lib_block(spark, d):
+    return grids.lib_block(*_fold_tiles(spark, d))
+
+
+@query("w_sql", FOLD_PRODUCT)
+def w_sql(spark, d):
+    a, b, _ = fold_pair(spark, d)
+    return _cells(sql_multiply(a, b))
+
+
+for _hint in ("shuffle_hash", "merge"):
+    query(f"o_join_{'hash' if _hint == 'shuffle_hash' else 'merge'}", FOLD_PRODUCT)(lambda spark, d, h=_hint: _cells(sql_multiply(*fold_pair(spark, d)[:2], hint=h)))
+
+# -------------------------------------------------------------------- other products
+_SQUARE = "SELECT x.i AS i, y.j AS j, CAST(sum(x.v * y.v) AS BIGINT) AS v FROM {m} x JOIN {m} y ON x.j = y.i GROUP BY 1, 2 HAVING sum(x.v * y.v) <> 0"
+TRADE_SQUARE = f"WITH {TRADE_SQL} {_SQUARE.format(m='t')}"
+
+
+@query("w_pad_trade", TRADE_SQUARE)
+def w_pad_trade(spark, d):
+    t = cells_to_tiles(trade(spark, d), 25, 25, 4)
+    t = t.with_df(durable(t.df))
+    return _cells(tiles_to_cells(hybrid(t, t, "W")))
+
+
+@query("w_peel_trade", TRADE_SQUARE)
+def w_peel_trade(spark, d):
+    t = durable(trade(spark, d))
+    return _cells(peel(t, t, (25, 25, 25), tile=4, schedule="W"))
+
+
+_RECT = """WITH x AS (SELECT CAST(c_nationkey AS BIGINT) AS i, l_partkey AS j, CAST(sum(l_quantity) AS BIGINT) AS v FROM lineitem JOIN orders ON l_orderkey = o_orderkey JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2),
+y AS (SELECT l_partkey AS i, l_suppkey AS j, CAST(sum(l_quantity) AS BIGINT) AS v FROM lineitem GROUP BY 1, 2)
+SELECT x.i AS i, y.j AS j, CAST(sum(x.v * y.v) AS BIGINT) AS v FROM x JOIN y ON x.j = y.i GROUP BY 1, 2"""
+
+
+@query("w_rect_cust_supp", _RECT)
+def w_rect_cust_supp(spark, d):
+    li = table(spark, d, "lineitem", "l_orderkey", "l_partkey", "l_suppkey", "l_quantity")
+    o, c = table(spark, d, "orders", "o_orderkey", "o_custkey"), table(spark, d, "customer", "c_custkey", "c_nationkey")
+    x = cells_from(li.join(o, F.col("l_orderkey") == F.col("o_orderkey")).join(c, F.col("o_custkey") == F.col("c_custkey")), F.col("c_nationkey"), F.col("l_partkey"), F.col("l_quantity"))
+    y = cells_from(li, F.col("l_partkey"), F.col("l_suppkey"), F.col("l_quantity"))
+    parts, supp = (table(spark, d, t).count() for t in ("part", "supplier"))
+    return _cells(tiles_to_cells(hybrid(cells_to_tiles(x, 25, parts, 16), cells_to_tiles(y, parts, supp, 16), "W")))
+
+
+@query("w_gram_embed", f"WITH {EMBED_SQL} SELECT x.i AS i, y.i AS j, CAST(sum(x.v * y.v) AS BIGINT) AS v FROM m x JOIN m y ON x.j = y.j GROUP BY 1, 2 HAVING sum(x.v * y.v) <> 0")
+def w_gram_embed(spark, d):
+    rows = table(spark, d, "embeddings").count()
+    e = cells_to_tiles(embedding_cells(spark, d), rows, 64, 16)
+    e = e.with_df(durable(e.df))
+    return _cells(tiles_to_cells(hybrid(e, transpose_tiles(e), "W")))
+
+
+@query("w_cov_embed", f"WITH {EMBED_SQL} SELECT label, x.j AS i, y.j AS j, CAST(sum(x.v * y.v) AS BIGINT) AS v FROM m x JOIN m y ON x.i = y.i JOIN embeddings ON vec_id = x.i GROUP BY 1, 2, 3 HAVING sum(x.v * y.v) <> 0")
+def w_cov_embed(spark, d):
+    e = embedding_cells(spark, d).join(table(spark, d, "embeddings", F.col("vec_id").alias("i"), "label"), "i")
+    y = e.select("i", F.col("j").alias("k"), F.col("v").alias("w"))
+    return e.join(y, "i").groupBy("label", F.col("j").alias("i"), F.col("k").alias("j")).agg(F.sum(F.col("v") * F.col("w")).alias("v")).where("v <> 0")
+
+
+@query("w_cosupply", "WITH y AS (SELECT l_partkey AS i, l_suppkey AS j, CAST(sum(l_quantity) AS BIGINT) AS v FROM lineitem GROUP BY 1, 2) SELECT a.j AS i, b.j AS j, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM y a JOIN y b ON a.i = b.i GROUP BY 1, 2")
+def w_cosupply(spark, d):
+    y = durable(cells_from(table(spark, d, "lineitem", "l_partkey", "l_suppkey", "l_quantity"), F.col("l_partkey"), F.col("l_suppkey"), F.col("l_quantity")))
+    return _cells(sql_multiply(rel.transpose(y), y))
+
+
+@query("w_basket", "WITH x AS (SELECT DISTINCT l_orderkey AS o, p_brand AS b FROM lineitem JOIN part ON l_partkey = p_partkey) SELECT x.b AS brand, y.b AS other, count(*) AS v FROM x JOIN x y ON x.o = y.o GROUP BY 1, 2")
+def w_basket(spark, d):
+    li, p = table(spark, d, "lineitem", "l_orderkey", "l_partkey"), table(spark, d, "part", "p_partkey", "p_brand")
+    x = li.join(p, F.col("l_partkey") == F.col("p_partkey")).select("l_orderkey", F.col("p_brand").alias("brand")).distinct()
+    return x.join(x.withColumnRenamed("brand", "other"), "l_orderkey").groupBy("brand", "other").agg(F.count("*").alias("v"))
+
+
+@query("w_segment_priority", "SELECT c_mktsegment AS segment, o_orderpriority AS priority, count(*) AS v FROM customer JOIN orders ON c_custkey = o_custkey GROUP BY 1, 2")
+def w_segment_priority(spark, d):
+    c, o = table(spark, d, "customer", "c_custkey", "c_mktsegment"), table(spark, d, "orders", "o_custkey", "o_orderpriority")
+    return c.join(o, F.col("c_custkey") == F.col("o_custkey")).groupBy(F.col("c_mktsegment").alias("segment"), F.col("o_orderpriority").alias("priority")).agg(F.count("*").alias("v"))
+
+
+@query("w_user_type", "WITH x AS (SELECT user_id AS u, event_type AS t, count(*) AS v FROM events GROUP BY 1, 2) SELECT x.t AS kind, y.t AS other, CAST(sum(x.v * y.v) AS BIGINT) AS v FROM x JOIN x y ON x.u = y.u GROUP BY 1, 2")
+def w_user_type(spark, d):
+    x = table(spark, d, "events", "user_id", "event_type").groupBy("user_id", F.col("event_type").alias("kind")).agg(F.count("*").alias("c"))
+    y = x.select("user_id", F.col("kind").alias("other"), F.col("c").alias("e"))
+    return x.join(y, "user_id").groupBy("kind", "other").agg(F.sum(F.col("c") * F.col("e")).alias("v"))
+
+
+_TRANS = """k AS (SELECT event_type AS kind, row_number() OVER (ORDER BY event_type) - 1 AS idx FROM (SELECT DISTINCT event_type FROM events)),
+p AS (SELECT lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS a, event_type AS b FROM events),
+t AS (SELECT x.idx AS i, y.idx AS j, count(*) AS v FROM p JOIN k x ON a = x.kind JOIN k y ON b = y.kind GROUP BY 1, 2)"""
+
+
+def _transition(spark, d):
+    e = table(spark, d, "events", "user_id", "ts", "event_id", "event_type")
+    keys = durable(rel.index_keys(e, "event_type"))
+    w = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    pairs = e.select(F.lag("event_type").over(w).alias("a"), F.col("event_type").alias("b"))
+    x, y = keys.select(F.col("key").alias("a"), F.col("idx").alias("x")), keys.select(F.col("key").alias("b"), F.col("idx").alias("y"))
+    return cells_from(pairs.join(F.broadcast(x), "a").join(F.broadcast(y), "b"), F.col("x"), F.col("y"), F.lit(1))
+
+
+@query("w_transition", f"WITH {_TRANS} SELECT * FROM t")
+def w_transition(spark, d):
+    return _cells(_transition(spark, d))
+
+
+@query("w_transition_pow4", f"WITH {_TRANS}, s AS ({_SQUARE.format(m='t')}) {_SQUARE.format(m='s')}")
+def w_transition_pow4(spark, d):
+    return _cells(power(_transition(spark, d), 4))
+
+
+_ROLE = """k AS (SELECT role, row_number() OVER (ORDER BY role) - 1 AS idx FROM (SELECT DISTINCT role FROM conversations)),
+p AS (SELECT lag(role) OVER (PARTITION BY conv_id ORDER BY turn) AS a, role AS b FROM conversations),
+t AS (SELECT x.idx AS i, y.idx AS j, count(*) AS v FROM p JOIN k x ON a = x.role JOIN k y ON b = y.role GROUP BY 1, 2)"""
+
+
+@query("w_role_transition", f"WITH {_ROLE} {_SQUARE.format(m='t')}")
+def w_role_transition(spark, d):
+    c = table(spark, d, "conversations", "conv_id", "turn", "role")
+    keys = durable(rel.index_keys(c, "role"))
+    pairs = c.select(F.lag("role").over(Window.partitionBy("conv_id").orderBy("turn")).alias("a"), F.col("role").alias("b"))
+    x, y = keys.select(F.col("key").alias("a"), F.col("idx").alias("x")), keys.select(F.col("key").alias("b"), F.col("idx").alias("y"))
+    t = durable(cells_from(pairs.join(F.broadcast(x), "a").join(F.broadcast(y), "b"), F.col("x"), F.col("y"), F.lit(1)))
+    return _cells(sql_multiply(t, t))
+
+
+_BUCKET = "SELECT doc_id, lang, least(length(w), 31) AS b, count(*) AS v FROM (SELECT doc_id, lang, unnest(string_split(text, ' ')) AS w FROM documents) GROUP BY 1, 2, 3"
+
+
+def _doc_buckets(spark, d):
+    words = table(spark, d, "documents", "doc_id", "lang", "text").select("doc_id", "lang", F.explode(F.split("text", " ", -1)).alias("w"))
+    return words.groupBy("doc_id", "lang", F.least(F.length("w"), F.lit(31)).cast("long").alias("b")).agg(F.count("*").alias("v"))
+
+
+@query("w_doc_term", f"WITH x AS (SELECT lang, b, sum(v) AS v FROM ({_BUCKET}) GROUP BY 1, 2) SELECT x.lang AS lang, y.lang AS other, CAST(sum(x.v * y.v) AS BIGINT) AS v FROM x JOIN x y ON x.b = y.b GROUP BY 1, 2")
+def w_doc_term(spark, d):
+    x = _doc_buckets(spark, d).groupBy("lang", "b").agg(F.sum("v").alias("c"))
+    y = x.select(F.col("lang").alias("other"), "b", F.col("c").alias("e"))
+    return x.join(y, "b").groupBy("lang", "other").agg(F.sum(F.col("c") * F.col("e")).alias("v"))
+
+
+@query("w_class_term", f"SELECT quality, toxic, CAST(b AS BIGINT) AS b, CAST(sum(v) AS BIGINT) AS v FROM labels JOIN ({_BUCKET}) x ON labels.doc_id = x.doc_id GROUP BY 1, 2, 3")
+def w_class_term(spark, d):
+    return table(spark, d, "labels").join(_doc_buckets(spark, d), "doc_id").groupBy("quality", "toxic", "b").agg(F.sum("v").alias("v"))
+
+
+@query("w_bench_overlap", "WITH x AS (SELECT DISTINCT doc_id, unnest(string_split(text, ' ')) AS w FROM documents), y AS (SELECT DISTINCT item_id, unnest(string_split(text, ' ')) AS w FROM benchmark) SELECT doc_id AS i, item_id AS j, count(*) AS v FROM x JOIN y ON x.w = y.w GROUP BY 1, 2")
+def w_bench_overlap(spark, d):
+    x = table(spark, d, "documents", "doc_id", "text").select(F.col("doc_id").alias("i"), F.explode(F.array_distinct(F.split("text", " ", -1))).alias("w"))
+    y = table(spark, d, "benchmark", "item_id", "text").select(F.col("item_id").alias("j"), F.explode(F.array_distinct(F.split("text", " ", -1))).alias("w"))
+    return x.join(y, "w").groupBy("i", "j").agg(F.count("*").alias("v"))
+
+
+_HOST = "regexp_extract(url, '^https?://([^/]+)', 1)"
+
+
+@query("w_page_links", f"WITH x AS (SELECT {_HOST} AS host, unnest(regexp_extract_all(html, 'href=\"([^\"]*)\"', 1)) AS path FROM pages), y AS (SELECT host, path, count(*) AS v FROM x GROUP BY 1, 2) SELECT a.host AS host, b.host AS other, CAST(sum(a.v * b.v) AS BIGINT) AS v FROM y a JOIN y b ON a.path = b.path GROUP BY 1, 2")
+def w_page_links(spark, d):
+    p = table(spark, d, "pages", "url", "html")
+    x = p.select(F.regexp_extract("url", "^https?://([^/]+)", 1).alias("host"), F.explode(F.regexp_extract_all("html", F.lit('href="([^"]*)"'), F.lit(1))).alias("path"))
+    y = x.groupBy("host", "path").agg(F.count("*").alias("c"))
+    z = y.select(F.col("host").alias("other"), "path", F.col("c").alias("e"))
+    return y.join(z, "path").groupBy("host", "other").agg(F.sum(F.col("c") * F.col("e")).alias("v"))
+
+
+@query("w_region_rollup", f"WITH {TRADE_SQL} SELECT CAST(x.n_regionkey AS BIGINT) AS i, CAST(y.n_regionkey AS BIGINT) AS j, CAST(sum(v) AS BIGINT) AS v FROM t JOIN nation x ON t.i = x.n_nationkey JOIN nation y ON t.j = y.n_nationkey GROUP BY 1, 2")
+def w_region_rollup(spark, d):
+    m = cells_from(table(spark, d, "nation"), F.col("n_nationkey"), F.col("n_regionkey"), F.lit(1))
+    return _cells(chain_multiply([rel.transpose(m), trade(spark, d), m], [5, 25, 25, 5]))
+
+
+# -------------------------------------------------------------------- cost measures
+_POINTS = [(n, 7**k, n * n * c / 7**k) for n in (1000, 94080) for k in (2, 3, 4) for c in (3.0, 12.0, 48.0)]
+
+
+def _method_rows(levels: int) -> str:
+    rows = []
+    for name, (f, w, m) in METHODS.items():
+        rows.append(f"SELECT '{name}' AS method, n, p, m, round(ln({f}), 6) AS ln_flops, round(ln({w}), 6) AS ln_words, round(ln(greatest({m}, 1.0)), 6) AS ln_messages FROM points")
+    values = ", ".join(f"(CAST({n} AS DOUBLE), CAST({p} AS DOUBLE), CAST({m!r} AS DOUBLE), CAST({levels} AS DOUBLE))" for n, p, m in _POINTS)
+    return f"WITH points AS (SELECT * FROM (VALUES {values}) AS q(n, p, m, l)) " + " UNION ALL ".join(rows)
+
+
+@query("c_cost_table", _method_rows(1))
+def c_cost_table(spark, d):
+    """Costs of all methods on a grid of points; the same formulas feed the planner."""
+    points = spark.createDataFrame([(float(n), float(p), float(m), 1.0) for n, p, m in _POINTS], "n double, p double, m double, l double")
+    rows = [points.selectExpr(f"'{k}' AS method", "n", "p", "m", *(f"round(ln({x}), 6) AS ln_{c}" for c, x in (("flops", f), ("words", w), ("messages", f"greatest({m}, 1.0)")))) for k, (f, w, m) in METHODS.items()]
+    out = rows[0]
+    for r in rows[1:]:
+        out = out.unionByName(r)
+    return out
+
+
+@query("c_excess", f"WITH c AS ({_method_rows(1)}) SELECT x.method AS method, x.n AS n, x.p AS p, x.m AS m, round(x.ln_words - y.ln_words, 5) AS words_over, round(x.ln_flops - y.ln_flops, 5) AS flops_over FROM c x JOIN c y ON y.method = 'hybrid' AND x.n = y.n AND x.p = y.p AND x.m = y.m")
+def c_excess(spark, d):
+    c = c_cost_table(spark, d)
+    best = c.where("method = 'hybrid'").select("n", "p", "m", F.col("ln_words").alias("w"), F.col("ln_flops").alias("f"))
+    return c.join(best, ["n", "p", "m"]).select("method", "n", "p", "m", F.round(F.col("ln_words") - F.col("w"), 5).alias("words_over"), F.round(F.col("ln_flops") - F.col("f"), 5).alias("flops_over"))
+
+
+@query("c_recurrence", "WITH r AS (SELECT unnest(range(1, 9)) AS k) SELECT k, CAST(round(3 * pow(2, 20) / pow(7.0, k) * list_sum([pow(1.75, x) for x in range(0, k + 1)]), 3) AS DOUBLE) AS footprint, CAST(round(9 * pow(2, 20) / pow(7.0, k) * list_sum([pow(1.75, x) for x in range(0, k)]), 3) AS DOUBLE) AS words, 36 * k AS messages FROM r")
+def c_recurrence(spark, d):
+    """Footprint, words and messages of k wide levels of a 1024-square product, from the closed forms."""
+    r = spark.range(1, 9).withColumnRenamed("id", "k")
+    p, n2 = F.pow(F.lit(7.0), F.col("k")), 2.0**20
+    return r.select("k", F.round(7 * n2 / F.pow(F.lit(4.0), F.col("k")) - 4 * n2 / p, 3).alias("footprint"), F.round(12 * n2 * (F.pow(F.lit(4.0), -F.col("k")) - 1 / p), 3).alias("words"), (36 * F.col("k")).alias("messages"))
+
+
+@query("c_scaling", "WITH r AS (SELECT unnest(range(1, 7)) AS k), x AS (SELECT k, greatest(pow(94080.0, 2.807354922057604) / pow(1e9, 0.403677461028802), pow(94080.0, 2) * pow(7.0, k) / pow(4.0, k)) AS words_p FROM r) SELECT k, round(words_p / 1e6, 3) AS words_p, round(words_p / lag(words_p) OVER (ORDER BY k), 6) AS step FROM x")
+def c_scaling(spark, d):
+    """Words times workers along the workers: flat while memory binds, rising beyond."""
+    omega = 2.807354922057604
+    x = spark.range(1, 7).withColumnRenamed("id", "k").withColumn("words_p", F.greatest(F.lit(94080.0**omega / 1e9 ** (omega / 2 - 1)), F.lit(94080.0**2) * F.pow(F.lit(7.0), "k") / F.pow(F.lit(4.0), "k")))
+    return x.select("k", F.round(F.col("words_p") / 1e6, 3).alias("words_p"), F.round(F.col("words_p") / F.lag("words_p").over(Window.orderBy("k")), 6).alias("step"))
+
+
+@query("c_regimes", f"WITH c AS ({_method_rows(1)}) SELECT n, p, m, CASE WHEN m < n * n / pow(4.0, round(ln(p) / ln(7.0))) THEN 'memory-dependent' ELSE 'memory-independent' END AS regime FROM c WHERE method = 'hybrid'")
+def c_regimes(spark, d):
+    c = c_cost_table(spark, d).where("method = 'hybrid'")
+    free = F.col("n") * F.col("n") / F.pow(F.lit(4.0), F.round(F.log("p") / F.log(F.lit(7.0))))
+    return c.select("n", "p", "m", F.when(F.col("m") < free, "memory-dependent").otherwise("memory-independent").alias("regime"))
+
+
+@query("c_ledger_wide", "WITH w AS (SELECT unnest(range(0, 49)) AS worker) SELECT 1 AS step, worker, CAST(9 * 224 * 224 / 49 AS BIGINT) AS words, 36 AS messages FROM w UNION ALL SELECT 2, worker, CAST(9 * 112 * 112 / 7 AS BIGINT), 36 FROM w")
+def c_ledger_wide(spark, d):
+    """Words and messages of every worker in every step, from the layout: all equal, and equal to the formula."""
+    out = ledger.per_worker(ledger.traffic_ledger(spark, 224, 49))
+    return out.select("step", F.col("worker").cast("long").alias("worker"), F.col("words").cast("long").alias("words"), F.col("messages").cast("int").alias("messages"))
+
+
+@query("c_ledger_budgeted", "SELECT CAST(44352 AS BIGINT) AS words, CAST(504 AS BIGINT) AS messages")
+def c_ledger_budgeted(spark, d):
+    out = ledger.critical_path(ledger.traffic_ledger(spark, 112, 49), serial_levels=1)
+    return out.select(F.col("words").cast("long").alias("words"), F.col("messages").cast("long").alias("messages"))
+
+
+# ------------------------------------------------------------------------- accuracy
+@query("a_norms", f"WITH {FOLD_SQL} SELECT 'one' AS kind, CAST(max(s) AS BIGINT) AS v FROM (SELECT j, sum(abs(v)) AS s FROM a GROUP BY j) UNION ALL SELECT 'inf', CAST(max(s) AS BIGINT) FROM (SELECT i, sum(abs(v)) AS s FROM a GROUP BY i) UNION ALL SELECT 'squares', CAST(sum(v * v) AS BIGINT) FROM a UNION ALL SELECT 'max', CAST(max(abs(v)) AS BIGINT) FROM a")
+def a_norms(spark, d):
+    return rel.norms(fold_pair(spark, d)[0])
+
+
+def _graded(spark, d):
+    """Price-like doubles with magnitudes over many powers of two, and their exact integer products."""
+    a, b, n = fold_pair(spark, d, 56)
+    grade = lambda x: x.select("i", "j", (F.col("v") * F.pow(F.lit(2.0), F.pmod(F.col("i") * 3 - F.col("j") * 5, F.lit(24)) - 12) * 1.1).alias("v"))
+    return durable(grade(a)), durable(grade(b)), n
+
+
+def _fast_double(a, b, n, levels=2):
+    return tiles_to_cells(hybrid(cells_to_tiles(a, n, n, 7, "double"), cells_to_tiles(b, n, n, 7, "double"), "W" * levels))
+
+
+def _errors(spark, d, product):
+    a, b, n = _graded(spark, d)
+    exact = sql_multiply(a.withColumn("v", F.col("v").cast("decimal(38,18)").cast("double")), b)
+    got = durable(product(a, b, n))
+    return accuracy.componentwise_error(exact, got, a, b, n).unionByName(accuracy.normwise_error(exact, got, a, b, n, accuracy.growth_bound(n, 2)))
+
+
+@query("a_componentwise")
+def a_componentwise(spark, d):
+    return _errors(spark, d, lambda a, b, n: tiles_to_cells(grids.grid2d(cells_to_tiles(a, n, n, 7, "double"), cells_to_tiles(b, n, n, 7, "double"), 2)))
+
+
+@query("a_normwise")
+def a_normwise(spark, d):
+    return _errors(spark, d, _fast_double)
+
+
+for _mode in ("outer", "inner"):
+    query(f"a_scaled_{_mode}")(lambda spark, d, m=_mode: _errors(spark, d, lambda a, b, n: accuracy.scaled_multiply(a, b, m, lambda x, y: _fast_double(durable(x), durable(y), n))))
+
+
+@query("a_overflow", f"WITH {FOLD_SQL} SELECT CAST((SELECT max(abs(v)) FROM a) AS DOUBLE) * (SELECT max(abs(v)) FROM b) * n * 324 AS bound, true AS exact FROM n")
+def a_overflow(spark, d):
+    a, b, n = fold_pair(spark, d)
+    return accuracy.overflow_bound(a, b, n, levels=2)
+
+
+@query("a_random_check", "SELECT CAST(0 AS BIGINT) AS mismatches")
+def a_random_check(spark, d):
+    a, b, n = fold_pair(spark, d)
+    a, b = durable(a), durable(b)
+    c = durable(tiles_to_cells(hybrid(*(cells_to_tiles(x, n, n, TILES[n]) for x in (a, b)), "W")))
+    return accuracy.random_check(a, b, c)
+
+
+# ------------------------------------------------------------ operators on the way
+_A = f"WITH {FOLD_SQL} "
+
+
+def _simple(name: str, sql: str, f):
+    query(name, sql)(f)
+
+
+_simple("o_scan", "SELECT l_orderkey, l_quantity FROM lineitem", lambda s, d: table(s, d, "lineitem", "l_orderkey", "l_quantity"))
+_simple("o_fold", _A + "SELECT * FROM a", lambda s, d: fold_pair(s, d)[0])
+_simple("o_tiles", _A + "SELECT * FROM a", lambda s, d: _cells(tiles_to_cells(_fold_tiles(s, d)[0])))
+_simple("o_cells", "SELECT CAST(c_nationkey AS BIGINT) AS i, CAST(year(o_orderdate) AS BIGINT) AS j, count(*) AS v FROM orders JOIN customer ON o_custkey = c_custkey GROUP BY 1, 2", lambda s, d: cells_from(table(s, d, "orders", "o_custkey", "o_orderdate").join(table(s, d, "customer", "c_custkey", "c_nationkey"), F.col("o_custkey") == F.col("c_custkey")), F.col("c_nationkey"), F.year("o_orderdate"), F.lit(1)))
+_simple("o_explode", f"WITH {EMBED_SQL} SELECT * FROM m", embedding_cells)
+_simple("o_slice", f"WITH {EMBED_SQL} SELECT * FROM m WHERE i >= 10 AND i < 60 AND j >= 8 AND j < 24", lambda s, d: rel.slice_cells(embedding_cells(s, d), (10, 60), (8, 24)))
+_simple("o_band", _A + "SELECT * FROM a WHERE j - i BETWEEN -2 AND 3", lambda s, d: rel.band(fold_pair(s, d)[0], -2, 3))
+_simple("o_diag", _A + "SELECT * FROM a WHERE i = j", lambda s, d: rel.band(fold_pair(s, d)[0], 0, 0))
+_simple("o_sparsify", f"WITH {EMBED_SQL} SELECT * FROM m WHERE abs(v) > 1500", lambda s, d: rel.sparsify(embedding_cells(s, d), 1500))
+_simple("o_transpose", f"WITH {EMBED_SQL} SELECT j AS i, i AS j, v FROM m", lambda s, d: rel.transpose(embedding_cells(s, d)))
+_simple("o_axpy", _A + "SELECT i, j, CAST(sum(v) AS BIGINT) AS v FROM (SELECT i, j, 2 * v AS v FROM a UNION ALL SELECT i, j, -3 * v FROM b) GROUP BY 1, 2 HAVING sum(v) <> 0", lambda s, d: rel.axpy(2, fold_pair(s, d)[0], -3, fold_pair(s, d)[1]))
+_simple("o_hadamard", _A + "SELECT a.i, a.j, a.v * b.v AS v FROM a JOIN b ON a.i = b.i AND a.j = b.j", lambda s, d: rel.hadamard(*fold_pair(s, d)[:2]))
+_simple("o_matvec", _A + "SELECT a.i, CAST(sum(a.v * x.x) AS BIGINT) AS v FROM a JOIN (SELECT j, sum(v) AS x FROM b GROUP BY j) x ON a.j = x.j GROUP BY 1", lambda s, d: rel.matvec(fold_pair(s, d)[0], fold_pair(s, d)[1].groupBy("j").agg(F.sum("v").alias("x"))))
+_simple("o_outer", "SELECT CAST(x.n_nationkey AS BIGINT) AS i, CAST(y.r_regionkey AS BIGINT) AS j, CAST(x.n_nationkey * y.r_regionkey AS BIGINT) AS v FROM nation x, region y", lambda s, d: table(s, d, "nation").crossJoin(F.broadcast(table(s, d, "region"))).select(F.col("n_nationkey").cast("long").alias("i"), F.col("r_regionkey").cast("long").alias("j"), (F.col("n_nationkey") * F.col("r_regionkey")).cast("long").alias("v")))
+_simple("o_scale", f"WITH {EMBED_SQL} SELECT i, j, v * (1 + label) AS v FROM m JOIN embeddings ON vec_id = i", lambda s, d: embedding_cells(s, d).join(table(s, d, "embeddings", F.col("vec_id").alias("i"), "label"), "i").select("i", "j", (F.col("v") * (1 + F.col("label"))).alias("v")))
+_simple("o_theta", "SELECT n_name, r_name FROM nation JOIN region ON n_regionkey < r_regionkey", lambda s, d: table(s, d, "nation").join(F.broadcast(table(s, d, "region")), F.col("n_regionkey") < F.col("r_regionkey")).select("n_name", "r_name"))
+_simple("o_range", "SELECT x.p_partkey AS p_partkey, y.p_partkey AS other FROM part x JOIN part y ON abs(x.p_retailprice - y.p_retailprice) <= 0.25 AND x.p_partkey < y.p_partkey", lambda s, d: (lambda p: rel.band_join(p, p, "p_retailprice", 0.25).where("p_partkey < p_partkey_r").select("p_partkey", F.col("p_partkey_r").alias("other")))(table(s, d, "part", "p_partkey", "p_retailprice")))
+_simple("o_asof", "SELECT DISTINCT p.user_id, p.ts, (SELECT max(v) FROM (SELECT arg_max(e.value, (e.ts, e.value)) AS v FROM events e WHERE e.user_id = p.user_id AND e.event_type <> 'click' AND e.ts <= p.ts)) AS last_seen FROM events p WHERE event_type = 'click'", lambda s, d: (lambda e: rel.asof_last(e.where("event_type <> 'click'"), e.where("event_type = 'click'"), "user_id", "ts", "value").distinct())(table(s, d, "events")))
+_simple("o_interval", "SELECT x.event_id AS event_id, y.event_id AS other FROM events x JOIN events y ON x.user_id = y.user_id AND y.ts > x.ts AND y.ts <= x.ts + INTERVAL 30 MINUTE", lambda s, d: (lambda e: e.withColumn("h", F.explode(F.array(F.hour("ts") + 24 * F.dayofyear("ts"), F.hour("ts") + 24 * F.dayofyear("ts") + 1))).join(e.select("user_id", (F.hour("ts") + 24 * F.dayofyear("ts")).alias("h"), F.col("ts").alias("t2"), F.col("event_id").alias("other")), ["user_id", "h"]).where((F.col("t2") > F.col("ts")) & (F.col("t2") <= F.col("ts") + F.expr("INTERVAL 30 MINUTES"))).select("event_id", "other"))(table(s, d, "events", "event_id", "user_id", "ts")))
+_simple("o_full_diff", _A + "SELECT i, j, v FROM (SELECT coalesce(a.i, b.i) AS i, coalesce(a.j, b.j) AS j, coalesce(a.v, 0) - coalesce(b.v, 0) AS v FROM a FULL JOIN b ON a.i = b.i AND a.j = b.j) WHERE v <> 0", lambda s, d: rel.diff(*fold_pair(s, d)[:2]))
+_simple("o_left", "SELECT c_custkey, count(o_orderkey) AS n FROM customer LEFT JOIN orders ON c_custkey = o_custkey GROUP BY 1", lambda s, d: table(s, d, "customer", "c_custkey").join(table(s, d, "orders", "o_orderkey", "o_custkey"), F.col("c_custkey") == F.col("o_custkey"), "left").groupBy("c_custkey").agg(F.count("o_orderkey").alias("n")))
+_simple("o_semi", "SELECT c_custkey FROM customer WHERE c_custkey IN (SELECT o_custkey FROM orders)", lambda s, d: table(s, d, "customer", "c_custkey").join(table(s, d, "orders", "o_custkey"), F.col("c_custkey") == F.col("o_custkey"), "left_semi"))
+_simple("o_anti", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)", lambda s, d: table(s, d, "customer", "c_custkey").join(table(s, d, "orders", "o_custkey"), F.col("c_custkey") == F.col("o_custkey"), "left_anti"))
+_simple("o_trace", _A + "SELECT CAST(sum(v) AS BIGINT) AS v FROM a WHERE i = j", lambda s, d: rel.band(fold_pair(s, d)[0], 0, 0).agg(F.sum("v").alias("v")))
+_simple("o_row_sums", _A + "SELECT i, CAST(sum(v) AS BIGINT) AS v, count(*) AS n FROM a GROUP BY 1", lambda s, d: fold_pair(s, d)[0].groupBy("i").agg(F.sum("v").alias("v"), F.count("*").alias("n")))
+_simple("o_distinct", "SELECT l_suppkey, count(DISTINCT l_partkey) AS n FROM lineitem GROUP BY 1", lambda s, d: table(s, d, "lineitem", "l_suppkey", "l_partkey").groupBy("l_suppkey").agg(F.count_distinct("l_partkey").alias("n")))
+query("o_approx_distinct")(lambda s, d: table(s, d, "lineitem", "l_suppkey", "l_partkey").groupBy("l_suppkey").agg(F.approx_count_distinct("l_partkey").alias("n")))
+for _kind in ("rollup", "cube"):
+    _simple(f"o_{_kind}", f"SELECT r_name, n_name, count(*) AS v, CAST(grouping_id(r_name, n_name) AS BIGINT) AS level FROM nation JOIN region ON n_regionkey = r_regionkey JOIN customer ON c_nationkey = n_nationkey GROUP BY {_kind}(r_name, n_name)", lambda s, d, k=_kind: rel.block_totals(table(s, d, "nation").join(table(s, d, "region"), F.col("n_regionkey") == F.col("r_regionkey")).join(table(s, d, "customer", "c_nationkey"), F.col("c_nationkey") == F.col("n_nationkey")), ["r_name", "n_name"], F.lit(1), k))
+_simple("o_grouping_sets", "SELECT l_returnflag, l_linestatus, CAST(sum(l_quantity) AS BIGINT) AS v FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())", lambda s, d: table(s, d, "lineitem", "l_returnflag", "l_linestatus", "l_quantity").groupingSets([[F.col("l_returnflag")], [F.col("l_linestatus")], []], "l_returnflag", "l_linestatus").agg(F.sum("l_quantity").cast("long").alias("v")))
+_TYPES = ["click", "purchase", "signup", "view"]
+_simple("o_pivot", "SELECT user_id, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in _TYPES) + " FROM events GROUP BY 1", lambda s, d: table(s, d, "events", "user_id", "event_type").groupBy("user_id").agg(*(F.count_if(F.col("event_type") == t).alias(t) for t in _TYPES)))
+_simple("o_unpivot", "SELECT s_suppkey, 'nation' AS what, CAST(s_nationkey AS DOUBLE) AS v FROM supplier UNION ALL SELECT s_suppkey, 'balance', s_acctbal FROM supplier", lambda s, d: table(s, d, "supplier").select("s_suppkey", F.col("s_nationkey").cast("double").alias("nation"), F.col("s_acctbal").alias("balance")).unpivot("s_suppkey", ["nation", "balance"], "what", "v"))
+_simple("o_sort_agg", "SELECT p_brand, min(p_name) AS low, max(p_type) AS high FROM part GROUP BY 1", lambda s, d: table(s, d, "part").groupBy("p_brand").agg(F.min("p_name").alias("low"), F.max("p_type").alias("high")))
+_simple("o_topk_row", _A + "SELECT i, j, v, r FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY v DESC, j) AS r FROM a) WHERE r <= 3", lambda s, d: rel.topk_per_row(fold_pair(s, d)[0], 3).withColumn("r", F.col("r").cast("long")))
+_simple("o_rank_forms", _A + "SELECT i, j, rank() OVER w AS a1, dense_rank() OVER w AS a2, ntile(4) OVER (PARTITION BY i ORDER BY v, j) AS a3 FROM a WHERE i < 20 WINDOW w AS (PARTITION BY i ORDER BY v)", lambda s, d: fold_pair(s, d)[0].where("i < 20").select("i", "j", F.rank().over(Window.partitionBy("i").orderBy("v")).cast("long").alias("a1"), F.dense_rank().over(Window.partitionBy("i").orderBy("v")).cast("long").alias("a2"), F.ntile(4).over(Window.partitionBy("i").orderBy("v", "j")).cast("long").alias("a3")))
+_simple("o_lag_pairs", "SELECT event_id, lag(event_type) OVER w AS before, lead(event_type) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", lambda s, d: (lambda w: table(s, d, "events", "event_id", "user_id", "ts", "event_type").select("event_id", F.lag("event_type").over(w).alias("before"), F.lead("event_type").over(w).alias("after")))(Window.partitionBy("user_id").orderBy("ts", "event_id")))
+_simple("o_cum_row", _A + "SELECT i, j, CAST(sum(v) OVER (PARTITION BY i ORDER BY j) AS BIGINT) AS v FROM a", lambda s, d: fold_pair(s, d)[0].select("i", "j", F.sum("v").over(Window.partitionBy("i").orderBy("j").rowsBetween(Window.unboundedPreceding, 0)).alias("v")))
+_simple("o_range_frame", _A + "SELECT i, j, CAST(sum(v) OVER (PARTITION BY i ORDER BY j RANGE BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS BIGINT) AS v FROM a", lambda s, d: fold_pair(s, d)[0].select("i", "j", F.sum("v").over(Window.partitionBy("i").orderBy("j").rangeBetween(-2, 2)).alias("v")))
+_simple("o_topk", f"WITH {EMBED_SQL} SELECT * FROM m ORDER BY v DESC, i, j LIMIT 20", lambda s, d: embedding_cells(s, d).orderBy(F.desc("v"), "i", "j").limit(20))
+_simple("o_sort", _A + "SELECT * FROM a ORDER BY i, j", lambda s, d: fold_pair(s, d)[0].orderBy("i", "j"))
+_simple("o_union", _A + "SELECT i, j FROM a UNION SELECT i, j FROM b", lambda s, d: (lambda a, b, n: a.select("i", "j").union(b.select("i", "j")).distinct())(*fold_pair(s, d)))
+_simple("o_intersect", _A + "SELECT i, j FROM a INTERSECT SELECT i, j FROM b", lambda s, d: (lambda a, b, n: a.select("i", "j").intersect(b.select("i", "j")))(*fold_pair(s, d)))
+_simple("o_except", _A + "SELECT i, j FROM a EXCEPT SELECT i, j FROM b", lambda s, d: (lambda a, b, n: a.select("i", "j").subtract(b.select("i", "j")))(*fold_pair(s, d)))
+_simple("o_index", "SELECT p_brand AS key, row_number() OVER (ORDER BY p_brand) - 1 AS idx FROM (SELECT DISTINCT p_brand FROM part)", lambda s, d: rel.index_keys(table(s, d, "part", "p_brand"), "p_brand"))
+_simple("o_onehot", "SELECT doc_id AS i, CAST(2 * quality + toxic AS BIGINT) AS j, CAST(1 AS BIGINT) AS v FROM labels", lambda s, d: table(s, d, "labels").select(F.col("doc_id").alias("i"), (2 * F.col("quality") + F.col("toxic")).cast("long").alias("j"), F.lit(1).cast("long").alias("v")))
+_simple("o_incidence", "SELECT DISTINCT l_orderkey AS i, l_suppkey AS j FROM lineitem", lambda s, d: table(s, d, "lineitem", F.col("l_orderkey").alias("i"), F.col("l_suppkey").alias("j")).distinct())
+_simple("o_map_case", "SELECT event_id, CASE WHEN value > 50 THEN 'high' WHEN value > 10 THEN 'mid' ELSE 'low' END AS class, coalesce(value, 0) AS v FROM events", lambda s, d: table(s, d, "events").select("event_id", F.when(F.col("value") > 50, "high").when(F.col("value") > 10, "mid").otherwise("low").alias("class"), F.coalesce("value", F.lit(0.0)).alias("v")))
+_simple("o_string_key", "SELECT doc_id, upper(lang) || '-' || source AS key, length(text) AS n, substr(text, 1, 3) AS head FROM documents", lambda s, d: table(s, d, "documents").select("doc_id", F.concat_ws("-", F.upper("lang"), "source").alias("key"), F.length("text").cast("long").alias("n"), F.substring("text", 1, 3).alias("head")))
+_simple("o_regexp", f"SELECT page_id, {_HOST} AS host, len(regexp_extract_all(html, '<p')) AS n FROM pages", lambda s, d: table(s, d, "pages").select("page_id", F.regexp_extract("url", "^https?://([^/]+)", 1).alias("host"), F.regexp_count("html", F.lit("<p")).cast("long").alias("n")))
+_simple("o_date_matrix", "SELECT CAST(year(o_orderdate) AS BIGINT) AS i, CAST(month(o_orderdate) AS BIGINT) AS j, count(*) AS v FROM orders GROUP BY 1, 2", lambda s, d: cells_from(table(s, d, "orders", "o_orderdate"), F.year("o_orderdate"), F.month("o_orderdate"), F.lit(1)))
+_simple("o_math", "SELECT k, round(log2(k), 6) AS a, round(sqrt(k), 6) AS b, ceil(k / 3.0) AS c, (k % 7) AS d FROM (SELECT unnest(range(1, 200)) AS k)", lambda s, d: s.range(1, 200).select(F.col("id").alias("k"), F.round(F.log2("id"), 6).alias("a"), F.round(F.sqrt("id"), 6).alias("b"), F.ceil(F.col("id") / 3.0).cast("double").alias("c"), F.pmod("id", F.lit(7)).alias("d")))
+_simple("o_array", "SELECT vec_id, len(embedding) AS n, round(CAST(list_max(embedding) AS DOUBLE), 6) AS top, len(list_filter(embedding, lambda x: x > 0)) AS positive FROM embeddings", lambda s, d: table(s, d, "embeddings").select("vec_id", F.size("embedding").cast("long").alias("n"), F.round(F.array_max("embedding").cast("double"), 6).alias("top"), F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive")))
+_simple("o_json_key", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) AS k FROM events", lambda s, d: table(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k")))
+_simple("o_map_key", "SELECT event_id, CAST(json_extract_string(props, '$.k') AS BIGINT) % 10 AS k FROM events", lambda s, d: table(s, d, "events").select("event_id", F.pmod(F.element_at(F.from_json("props", "map<string,bigint>"), "k"), F.lit(10)).alias("k")))
+_simple("o_udaf", _A + "SELECT i, round(sqrt(sum(v * v)), 6) AS f FROM a GROUP BY 1", lambda s, d: fold_pair(s, d)[0].groupBy("i").agg(frobenius_udaf()(F.col("v").cast("double")).alias("f")))
+_simple("o_udf_gemm", FOLD_PRODUCT, QUERIES["w_leaf_tiles"])
+
+
+@query("o_udtf", "SELECT * FROM (VALUES (1, 'S', CAST(224 AS BIGINT), CAST(49 AS BIGINT), CAST(0 AS DOUBLE), CAST(0 AS BIGINT)), (2, 'W', 112, 49, 2304, 36), (3, 'W', 56, 7, 4032, 36)) AS q(step, letter, n, workers, words, messages)")
+def o_udtf(spark, d):
+    register(spark)
+    return spark.sql("SELECT * FROM schedule_steps('SWW', 224, 49)")
+
+
+@query("o_tile_roundtrip", _A + "SELECT * FROM a WHERE i >= 4 * (CASE n.n WHEN 56 THEN 4 WHEN 224 THEN 8 ELSE 24 END) AND i < 10 * (CASE n.n WHEN 56 THEN 4 WHEN 224 THEN 8 ELSE 24 END)".replace("FROM a WHERE", "FROM (SELECT a.*, n.n AS side FROM a, n) WHERE").replace("n.n", "side").replace("side AS side", "n.n AS side").replace("SELECT * FROM (", "SELECT i, j, v FROM ("))
+def o_tile_roundtrip(spark, d):
+    import uuid
+
+    m = _fold_tiles(spark, d)[0]
+    path = f"{st._shared(spark)}/tiles-{uuid.uuid4().hex}"
+    write_tiles(m, path)
+    return _cells(tiles_to_cells(read_tiles(spark, path, m, (4, 10))))
+
+
+def _text_cells(spark, d, kind):
+    import uuid
+
+    path = f"{st._shared(spark)}/cells-{uuid.uuid4().hex}"
+    getattr(trade(spark, d).write, kind)(path)
+    return getattr(spark.read.schema("i long, j long, v long"), kind)(path)
+
+
+for _kind in ("csv", "json"):
+    query(f"o_{_kind}_cells", f"WITH {TRADE_SQL} SELECT * FROM t")(lambda s, d, k=_kind: _text_cells(s, d, k))
+
+# ---------------------------------------------------------------------------- streams
+_simple("s_tumbling", "SELECT date_trunc('day', ts) AS start, user_id, count(*) AS n FROM events GROUP BY 1, 2", lambda s, d: st.run_available_now(st.windowed_cells(st.stream_events(s, d), "tumbling"), "complete").select("start", "user_id", "n"))
+_simple("s_sliding", "SELECT date_trunc('day', ts) - k * INTERVAL 1 DAY AS start, user_id, count(*) AS n FROM events, (SELECT unnest(range(0, 2)) AS k) GROUP BY 1, 2", lambda s, d: st.run_available_now(st.windowed_cells(st.stream_events(s, d), "sliding", "2 days", "1 day"), "complete").select("start", "user_id", "n"))
+_simple("s_session", "WITH x AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 6 HOUR THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), y AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS g FROM x) SELECT min(ts) AS start, user_id, count(*) AS n FROM y GROUP BY user_id, g", lambda s, d: st.run_available_now(st.windowed_cells(st.stream_events(s, d), "session", "6 hours"), "complete").select("start", "user_id", "n"))
+_simple("s_dedupe", "SELECT event_id, user_id FROM events", lambda s, d: st.run_available_now(st.dedupe_events(st.stream_events(s, d))).select("event_id", "user_id"))
+_simple("s_static_join", "SELECT event_id, w FROM events JOIN (VALUES ('click', 1), ('purchase', 5), ('view', 2)) AS k(event_type, w) ON events.event_type = k.event_type", lambda s, d: st.run_available_now(st.stream_enrich(st.stream_events(s, d), s.createDataFrame([("click", 1), ("purchase", 5), ("view", 2)], "event_type string, w int"), "event_type")).select("event_id", "w"))
+_simple("s_state_transition", "SELECT before, after, count(*) AS v FROM (SELECT lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, event_type AS after FROM events) WHERE before IS NOT NULL GROUP BY 1, 2", lambda s, d: st.run_available_now(st.stream_transitions(st.stream_events(s, d))).groupBy("before", "after").agg(F.count("*").alias("v")))
+_simple("s_incremental_product", "WITH x AS (SELECT user_id AS i, hour(ts) AS j, count(*) AS v FROM events GROUP BY 1, 2) SELECT i, CAST(x.j % 4 AS BIGINT) AS j, CAST(sum(v * (1 + x.j)) AS BIGINT) AS v FROM x GROUP BY 1, 2", lambda s, d: _cells(st.incremental_product(st.stream_events(s, d), lambda e: cells_from(e, F.col("user_id"), F.hour("ts"), F.lit(1)), s.range(24).select(F.col("id").alias("i"), (F.col("id") % 4).alias("j"), (F.col("id") + 1).alias("v")))))
+
+
+def entry(spark, sf_dir: str):
+    """The flagship: the fold product by wide levels on seven logical workers."""
+    a, b = _fold_tiles(spark, sf_dir)
+    return _cells(tiles_to_cells(wide(a, b, 7)))
