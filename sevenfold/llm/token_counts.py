@@ -6,15 +6,17 @@ import base64
 import os
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from sevenfold.llm.common import durable
+
 TOKENIZERS = "/opt/tokenizers"
 VOCABULARY = "byte_bpe_50k.tiktoken"
 #: The byte-pair pre-tokeniser of that vocabulary (fixed value).
 PATTERN = r"'(?:[sdmt]|ll|ve|re)| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 #: Lengths of one block of the histogram, for sums in two steps.
-BLOCK = 4096
+BLOCK = 128
 
 _encoders: dict[bytes, object] = {}
 
@@ -55,6 +57,7 @@ def histogram(lengths: DataFrame, column: str = "n_tokens") -> DataFrame:
     documents up to it. The histogram is summed block by block, then within blocks.
     """
     h = lengths.groupBy(F.coalesce(F.col(column), F.lit(0)).cast("long").alias("length")).agg(F.count("*").alias("n_docs"))
+    h = durable(h)  # else each of its two uses would encode all texts
     h = h.withColumn("block", F.floor(F.col("length") / BLOCK)).withColumn("n_tokens", F.col("length") * F.col("n_docs"))
     after = Window.orderBy(F.desc("block")).rowsBetween(Window.unboundedPreceding, -1)
     blocks = h.groupBy("block").agg(F.sum("n_docs").alias("d"), F.sum("n_tokens").alias("t"))
