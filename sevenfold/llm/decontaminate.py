@@ -75,8 +75,11 @@ class WindowIndex:
             self.groups.append((n, place, np.unique(np.array([r[0] for r in rows], dtype=np.uint64)), np.array([r[1] for r in rows], dtype=np.uint64), np.array([r[2] for r in rows])))
         self.rare = np.unique(np.concatenate([g[2] for g in self.groups])) if self.groups else np.zeros(0, dtype=np.uint64)
 
-    def find(self, data: bytes, s: np.ndarray, e: np.ndarray, h: np.ndarray):
-        """(first word, length, window number) of every verified occurrence in one text."""
+    def find(self, data: bytes, s: np.ndarray, e: np.ndarray, h: np.ndarray, bound: np.ndarray):
+        """(first word, length, window number) of every verified occurrence.
+
+        ``bound`` has for each word the number of the word at which its text has ended.
+        """
         rare = np.flatnonzero(is_in_sorted(h, self.rare)[1])
         out = []
         if not len(rare):
@@ -85,7 +88,8 @@ class WindowIndex:
         whole: dict[int, np.ndarray] = {}
         for n, place, heads, hashes, numbers in self.groups:
             start = rare[is_in_sorted(h[rare], heads)[1]] - place
-            start = start[(start >= 0) & (start + n <= len(h))]
+            start = start[start >= 0]
+            start = start[start + n <= bound[start]]
             if not len(start):
                 continue
             if n not in whole:
@@ -174,20 +178,18 @@ def marker(docs: DataFrame, benchmark: DataFrame, text: str = "text", item: str
             raw, s, e, hs = words_of(buffer)
             data, h = raw.tobytes(), hs[0]
             cut = np.append(np.searchsorted(s, offsets), len(s))
+            bound = np.repeat(cut[1:], np.diff(cut))
             owner_hits: dict[int, tuple[np.ndarray, set]] = {}
             for held in shipped:
                 index = held.value
-                # a window must lie within one text, so texts with a rare word are searched one by one
-                rare = is_in_sorted(h, index.rare)[1]
-                some = np.add.reduceat(np.append(rare, False).astype(np.int64), cut[:-1]) * (cut[1:] > cut[:-1]) if len(numbers) else []
-                for j in np.flatnonzero(some).tolist():
-                    a, b = cut[j], cut[j + 1]
-                    found = index.find(data, s[a:b], e[a:b], h[a:b])
-                    if found:
-                        hit, own = owner_hits.setdefault(j, (np.zeros(b - a, dtype=bool), set()))
-                        for at, n, window in found:
-                            hit[at : at + n] = True
-                            own.update(index.items[o] for o in index.owners[window])
+                found = index.find(data, s, e, h, bound)
+                texts_of = np.searchsorted(cut, np.array([at for at, *_ in found], dtype=np.int64), side="right") - 1
+                for j, (at, n, window) in zip(texts_of.tolist(), found, strict=True):
+                    if j not in owner_hits:
+                        owner_hits[j] = (np.zeros(cut[j + 1] - cut[j], dtype=bool), set())
+                    hit, own = owner_hits[j]
+                    hit[at - cut[j] : at - cut[j] + n] = True
+                    own.update(index.items[o] for o in index.owners[window])
             for j, k in enumerate(numbers):
                 hit, own = owner_hits.get(j, (None, set()))
                 named = sorted(i for i in own if i is not None)
