@@ -61,7 +61,7 @@ def grid25d(a: TileMatrix, b: TileMatrix, workers: int = 8, c: int | str = "auto
     """c layers of a sqrt(P/c) grid; a layer takes every c-th inner panel. With c = 1 this is 2D."""
     valid = valid_25d(workers)
     c = max((x for _, x in valid), default=1) if c == "auto" else c
-    if (workers, c) not in valid and not (workers == 8 and c == 2):
+    if (workers, c) not in valid:
         raise ValueError(f"no 2.5D grid of {workers} workers with {c} copies; valid are {valid}")
     g = round((workers / c) ** 0.5)
     return _run(a, b, g, lambda i, j, k: F.pmod(k, F.lit(c)), c, g, leaf)

@@ -13,6 +13,8 @@ from sevenfold.operators.leaf import LeafSpec
 from sevenfold.operators.tiles import cells_to_tiles, durable, read_tiles, tiles_to_cells, write_tiles
 from sevenfold.operators.tiles import transpose as transpose_tiles
 from sevenfold.plans.costs import METHODS
+from sevenfold.plans.layout import LayoutSpec
+from sevenfold.plans.planner import plan_search
 from sevenfold.sources.matrices import EMBED_SQL, FOLD_SQL, PRODUCT_SQL, TRADE_SQL, cells_from, embedding_cells, fold_pair, table, trade
 from sevenfold.streaming import windows as st
 
@@ -306,6 +308,29 @@ def c_ledger_budgeted(spark, d):
     return out.select(F.col("words").cast("long").alias("words"), F.col("messages").cast("long").alias("messages"))
 
 
+@query("c_ledger_balance", "SELECT * FROM (VALUES (1, CAST(49 AS BIGINT), CAST(9216 AS BIGINT), CAST(9216 AS BIGINT)), (2, 49, 16128, 16128)) AS q(step, workers, least, most)")
+def c_ledger_balance(spark, d):
+    """Every worker sends and receives the same in every step."""
+    out = ledger.per_worker(ledger.traffic_ledger(spark, 224, 49)).groupBy("step").agg(F.count("*").alias("workers"), F.min("words").alias("least"), F.max("words").alias("most"))
+    return out.select("step", "workers", F.col("least").cast("long").alias("least"), F.col("most").cast("long").alias("most"))
+
+
+@query("c_owner_map", "SELECT CAST((bi % 7) * 7 + bj % 7 AS INTEGER) AS owner, count(*) AS blocks FROM (SELECT unnest(range(0, 28)) AS bi), (SELECT unnest(range(0, 28)) AS bj) GROUP BY 1")
+def c_owner_map(spark, d):
+    """Blocks of each of 49 workers at n = 224 with two levels: all equal."""
+    spec = LayoutSpec(224, 49, 2).check()
+    side = 224 // spec.block[0]
+    blocks = spark.range(side * side).select(F.floor(F.col("id") / side).alias("bi"), F.pmod("id", F.lit(side)).alias("bj"))
+    return blocks.select(spec.owner(F.col("bi"), F.col("bj")).alias("owner")).groupBy("owner").agg(F.count("*").alias("blocks"))
+
+
+@query("c_schedule_rank")
+def c_schedule_rank(spark, d):
+    """All interleavings of two wide levels with up to two serial ones that fit, by model time."""
+    found = plan_search(672, 49, 160_000.0, 4)
+    return spark.createDataFrame([(k + 1, s, t) for k, (t, s) in enumerate(found)], "rank int, schedule string, seconds double")
+
+
 # ------------------------------------------------------------------------- accuracy
 @query("a_norms", f"WITH {FOLD_SQL} SELECT 'one' AS kind, CAST(max(s) AS BIGINT) AS v FROM (SELECT j, sum(abs(v)) AS s FROM a GROUP BY j) UNION ALL SELECT 'inf', CAST(max(s) AS BIGINT) FROM (SELECT i, sum(abs(v)) AS s FROM a GROUP BY i) UNION ALL SELECT 'squares', CAST(sum(v * v) AS BIGINT) FROM a UNION ALL SELECT 'max', CAST(max(abs(v)) AS BIGINT) FROM a")
 def a_norms(spark, d):
