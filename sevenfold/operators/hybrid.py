@@ -23,8 +23,12 @@ from sevenfold.plans.layout import digits_of
 from sevenfold.plans.schemes import Scheme, Stages, scheme_of
 
 
-def _residues(tiles: int, most: int = 14) -> int:
-    """Largest divisor of ``tiles`` up to ``most``: the cyclic grid's side."""
+def _residues(tiles: int, tasks: int) -> int:
+    """Side of the cyclic grid: the largest divisor of ``tiles`` that needs no more than 16 places a task.
+
+    The places are what the tasks are dealt, so they have to grow with them.
+    """
+    most = max(14, math.isqrt(16 * tasks))
     return max(d for d in range(1, min(tiles, most) + 1) if tiles % d == 0)
 
 
@@ -80,10 +84,9 @@ class _Run:
         unit = scheme.n0**depth
         up = lambda x: -(-x // unit) * unit
         self.shape = (up(a.grid[0]), up(a.grid[1]), up(b.grid[1]))
-        self.res = tuple(_residues(x // unit) for x in self.shape)
         self.leaf_rule = leaf_rule
-        spark = a.df.sparkSession
-        self.tasks = max(int(spark.conf.get("spark.sql.shuffle.partitions")), 1)
+        self.tasks = max(int(a.df.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+        self.res = tuple(_residues(x // unit, self.tasks) for x in self.shape)
 
     def lay(self, df: DataFrame, rows: int, cols: int) -> DataFrame:
         df = df.withColumn("ci", F.col("bi") % rows).withColumn("cj", F.col("bj") % cols)

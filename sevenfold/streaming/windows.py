@@ -40,6 +40,34 @@ def run_available_now(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(f"{root}/out")
 
 
+def run_in_slices(slices: list[DataFrame], build) -> tuple[DataFrame, int]:
+    """Feed ``slices`` to one append-mode stream, each as a micro-batch of its own.
+
+    ``build`` makes the query of the stream. Every slice is written, then the
+    stream goes on from its checkpoint, so the order of the files within a slice
+    doesn't matter and the watermark of one slice holds for the next. Returns
+    the result and how many (partly aggregated) rows came too late.
+    """
+    spark = slices[0].sparkSession
+    root = f"{_shared(spark)}/slices-{uuid.uuid4().hex}"
+    late = 0
+    for part in slices:
+        part.write.mode("append").parquet(f"{root}/in")
+        stream = build(spark.readStream.schema(part.schema).parquet(f"{root}/in"))
+        writer = stream.writeStream.outputMode("append").option("checkpointLocation", f"{root}/state").trigger(availableNow=True)
+        query = writer.format("parquet").option("path", f"{root}/out").start()
+        query.awaitTermination()
+        late += sum(op["numRowsDroppedByWatermark"] for p in query.recentProgress for op in p["stateOperators"])
+    return spark.read.schema(stream.schema).parquet(f"{root}/out"), late
+
+
+def late_replay(spark: SparkSession, sf_dir: str, back: str = "15 days", every: int = 10) -> list[DataFrame]:
+    """The events, and after them every tenth once more with its time moved back."""
+    events = spark.read.schema(EVENTS).parquet(f"{sf_dir}/events.parquet")
+    moved = events.where(F.pmod("event_id", F.lit(every)) == 0).withColumn("ts", F.col("ts") - F.expr(f"INTERVAL {back}"))
+    return [events, moved]
+
+
 def windowed_cells(stream: DataFrame, kind: str, size: str = "1 day", slide: str | None = None, late: str = "1 hour") -> DataFrame:
     """Counts by user within tumbling, sliding or session windows (``size`` is then the gap)."""
     marked = stream.withWatermark("ts", late)

@@ -15,6 +15,7 @@ from sevenfold.operators.tiles import transpose as transpose_tiles
 from sevenfold.plans.costs import METHODS
 from sevenfold.plans.layout import LayoutSpec
 from sevenfold.plans.planner import plan_search
+from sevenfold.plans.report import CLASSICAL, EARLIER_FAST, speedup_report
 from sevenfold.sources.matrices import EMBED_SQL, FOLD_SQL, PRODUCT_SQL, TRADE_SQL, cells_from, embedding_cells, fold_pair, table, trade
 from sevenfold.streaming import windows as st
 
@@ -331,6 +332,17 @@ def c_schedule_rank(spark, d):
     return spark.createDataFrame([(k + 1, s, t) for k, (t, s) in enumerate(found)], "rank int, schedule string, seconds double")
 
 
+_SECONDS = "(0.0001 * exp(ln_messages) + 0.00000001 * exp(ln_words) + 0.000000001 * exp(ln_flops))"
+_BEST = lambda names: f"min(CASE WHEN method IN ({', '.join(repr(x) for x in names)}) THEN seconds END)"
+
+
+@query("c_speedup", f"WITH c AS ({_method_rows(1)}), t AS (SELECT method, p, {_SECONDS} AS seconds FROM c WHERE n = 94080 AND m = n * n * 12 / p), b AS (SELECT p, {_BEST(('hybrid',))} AS s, {_BEST(CLASSICAL)} AS k, {_BEST(EARLIER_FAST)} AS f FROM t GROUP BY p) SELECT p, round((k / s - 1) * 100, 4) AS over_classical_pct, round((f / s - 1) * 100, 4) AS over_fast_pct FROM b")
+def c_speedup(spark, d):
+    """Modelled speedup of the traversal over the best classical and the best earlier fast method, by workers."""
+    c = c_cost_table(spark, d).where("n = 94080 AND m = n * n * 12 / p")
+    return speedup_report(c.selectExpr("method", "p", f"{_SECONDS} AS seconds"))
+
+
 # ------------------------------------------------------------------------- accuracy
 @query("a_norms", f"WITH {FOLD_SQL} SELECT 'one' AS kind, CAST(max(s) AS BIGINT) AS v FROM (SELECT j, sum(abs(v)) AS s FROM a GROUP BY j) UNION ALL SELECT 'inf', CAST(max(s) AS BIGINT) FROM (SELECT i, sum(abs(v)) AS s FROM a GROUP BY i) UNION ALL SELECT 'squares', CAST(sum(v * v) AS BIGINT) FROM a UNION ALL SELECT 'max', CAST(max(abs(v)) AS BIGINT) FROM a")
 def a_norms(spark, d):
@@ -481,6 +493,8 @@ for _kind in ("csv", "json"):
 _simple("s_tumbling", "SELECT date_trunc('day', ts) AS start, user_id, count(*) AS n FROM events GROUP BY 1, 2", lambda s, d: st.run_available_now(st.windowed_cells(st.stream_events(s, d), "tumbling"), "complete").select("start", "user_id", "n"))
 _simple("s_sliding", "SELECT date_trunc('day', ts) - k * INTERVAL 1 DAY AS start, user_id, count(*) AS n FROM events, (SELECT unnest(range(0, 2)) AS k) GROUP BY 1, 2", lambda s, d: st.run_available_now(st.windowed_cells(st.stream_events(s, d), "sliding", "2 days", "1 day"), "complete").select("start", "user_id", "n"))
 _simple("s_session", "WITH x AS (SELECT user_id, ts, CASE WHEN ts >= lag(ts) OVER w + INTERVAL 6 HOUR THEN 1 ELSE 0 END AS new FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), y AS (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS g FROM x) SELECT min(ts) AS start, user_id, count(*) AS n FROM y GROUP BY user_id, g", lambda s, d: st.run_available_now(st.windowed_cells(st.stream_events(s, d), "session", "6 hours"), "complete").select("start", "user_id", "n"))
+# windows that the watermark (an hour behind the last event) has closed; the replayed rows are all older and count nowhere
+_simple("s_late", "SELECT date_trunc('day', ts) AS start, user_id, count(*) AS n FROM events GROUP BY 1, 2 HAVING date_trunc('day', max(ts)) + INTERVAL 1 DAY <= (SELECT max(ts) - INTERVAL 1 HOUR FROM events)", lambda s, d: st.run_in_slices(st.late_replay(s, d), lambda e: st.windowed_cells(e, "tumbling"))[0].select("start", "user_id", "n"))
 _simple("s_dedupe", "SELECT event_id, user_id FROM events", lambda s, d: st.run_available_now(st.dedupe_events(st.stream_events(s, d))).select("event_id", "user_id"))
 _simple("s_static_join", "SELECT event_id, w FROM events JOIN (VALUES ('click', 1), ('purchase', 5), ('view', 2)) AS k(event_type, w) ON events.event_type = k.event_type", lambda s, d: st.run_available_now(st.stream_enrich(st.stream_events(s, d), s.createDataFrame([("click", 1), ("purchase", 5), ("view", 2)], "event_type string, w int"), "event_type")).select("event_id", "w"))
 _simple("s_state_transition", "SELECT before, after, count(*) AS v FROM (SELECT lag(event_type) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS before, event_type AS after FROM events) WHERE before IS NOT NULL GROUP BY 1, 2", lambda s, d: st.run_available_now(st.stream_transitions(st.stream_events(s, d))).groupBy("before", "after").agg(F.count("*").alias("v")))

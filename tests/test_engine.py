@@ -5,10 +5,11 @@ import pytest
 from pyspark.sql import functions as F
 
 from sevenfold.operators import accuracy, grids, ledger
-from sevenfold.operators.hybrid import chain_order, hybrid, peel, power, sql_multiply, wide
+from sevenfold.operators.hybrid import _residues, chain_order, hybrid, peel, power, sql_multiply, wide
 from sevenfold.operators.leaf import LeafSpec
 from sevenfold.operators.tiles import axpy, cells_to_tiles, durable, tiles_to_cells, transpose
 from sevenfold.plans.explain import spark_costs
+from sevenfold.plans.report import moved, speedup_report
 
 
 def cells(spark, x):
@@ -122,6 +123,35 @@ def test_error_measures(spark):
         assert accuracy.normwise_error(exact, got, a, b, 14, 14.0 * 14).first()["ok"]
 
 
+def test_late_rows_are_dropped(spark):
+    from sevenfold.streaming import windows as st
+
+    d = "/root/testdata/sf0.001"
+    build = lambda e: st.windowed_cells(e, "tumbling")
+    slices = st.late_replay(spark, d)
+    alone, none = st.run_in_slices(slices[:1], build)
+    both, late = st.run_in_slices(slices, build)
+    assert none == 0 and late > 0
+    assert alone.count() == both.count() > 0 and both.exceptAll(alone).count() == 0
+
+
+def test_speedup_report(spark):
+    runs = [("hybrid", 49, 2.0), ("grid2d", 49, 3.0), ("grid25d", 49, 5.0), ("grid2d_fast", 49, 2.5), ("hybrid", 343, 1.0), ("grid2d", 343, 1.5), ("grid2d", 7, 1.0)]
+    got = {r.p: (r.over_classical_pct, r.over_fast_pct) for r in speedup_report(spark.createDataFrame(runs, "method string, p int, seconds double")).collect()}
+    assert got == {49: (50.0, 25.0), 343: (50.0, None)}
+
+
+def test_moved_counts_shuffles(spark):
+    wide = spark.range(0, 10_000, 1, 4).repartition(5, "id")
+    got = moved(spark, lambda: wide.write.format("noop").mode("overwrite").save())
+    assert got["shuffle_records"] == 10_000 and got["shuffle_bytes"] > 0 and got["stages"] == 2
+    assert moved(spark, lambda: spark.range(5).write.format("noop").mode("overwrite").save())["shuffle_bytes"] == 0
+
+
+def test_places_grow_with_the_tasks():
+    assert _residues(1024, 8) == 8 and _residues(1024, 4096) == 256 and _residues(6, 4096) == 6
+
+
 def test_entry_points(spark):
     import __spark_entry__ as e
 
