@@ -28,7 +28,8 @@ def _grid_step(a: DataFrame, b: DataFrame, shape, g: int, layer: Callable[[Colum
     x = a.withColumn("gi", block("bi", m, g)).withColumn("kb", block("bj", k, inner)).withColumn("gj", everyone)
     y = b.withColumn("gj", block("bj", n, g)).withColumn("kb", block("bi", k, inner)).withColumn("gi", everyone)
     x, y = (f.withColumn("z", layer(F.col("gi"), F.col("gj"), F.col("kb")).cast("int")) for f in (x, y))
-    out = dense_products(x, y, ["path", "gi", "gj", "z"], tile, dtype, leaf, (span(m, g), span(k, inner), span(n, g)))
+    number = ((F.col("path") * layers + F.col("z")) * g + F.col("gi")) * g + F.col("gj")
+    out = dense_products(x, y, ["path", "gi", "gj", "z"], tile, dtype, leaf, (span(m, g), span(k, inner), span(n, g)), number)
     return out.select("path", "bi", "bj", "vals") if layers == 1 else sum_tiles(out, ["path", "bi", "bj"])
 
 

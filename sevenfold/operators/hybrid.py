@@ -118,12 +118,12 @@ class _Run:
         elif self.leaf.kind == "tiles":
             out = tile_products(a, b, ["path"], self.tile, self.dtype)
         else:
-            keys = ["path"]
+            keys, number = ["path"], F.col("path")
             if self.c > 1:  # the base product on c workers: slices of its rows
                 a = a.withColumn("part", F.col("bi") % self.c)
                 b = b.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(self.c - 1))))
-                keys = ["path", "part"]
-            out = dense_products(a, b, keys, self.tile, self.dtype, self.leaf, None if self.c > 1 else shape)
+                keys, number = ["path", "part"], F.col("path") * self.c + F.col("part")
+            out = dense_products(a, b, keys, self.tile, self.dtype, self.leaf, None if self.c > 1 else shape, number)
         return self.lay(out.select("path", "bi", "bj", "vals"), self.res[0], self.res[2])
 
     def multiply(self, a, b, schedule, shape):

@@ -6,7 +6,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sevenfold.operators.tiles import sum_tiles
@@ -71,10 +71,12 @@ def _dense(rows: pd.DataFrame, row: str, col: str, row_ids: np.ndarray, col_ids:
     return out.reshape(len(row_ids) * t, len(col_ids) * t)
 
 
-def dense_products(a: DataFrame, b: DataFrame, keys: list[str], tile: int, dtype: str, leaf: LeafSpec, per: tuple[int, int, int] | None = None) -> DataFrame:
+def dense_products(a: DataFrame, b: DataFrame, keys: list[str], tile: int, dtype: str, leaf: LeafSpec, per: tuple[int, int, int] | None = None, number: Column | None = None) -> DataFrame:
     """One product per key: tiles (keys, bi, bj, vals) of a and b to those of the product.
 
-    ``per`` gives the tile rows, inner tiles and tile columns that a full key
+    ``number`` counts the keys from 0. Keys are then dealt to the tasks in turn:
+    they are few and equal in size, so hashing would leave some tasks with two
+    or three times the work of others. ``per`` gives the tile rows, inner tiles and tile columns that a full key
     has, so that absent tiles keep the fast levels even.
     """
     kind = np.int64 if dtype == "bigint" else np.float64
@@ -103,7 +105,12 @@ def dense_products(a: DataFrame, b: DataFrame, keys: list[str], tile: int, dtype
     kinds = dict(a.dtypes)
     schema = ", ".join(f"{k} {kinds[k]}" for k in keys) + f", bi int, bj int, vals array<{dtype}>"
     cols = [*keys, "bi", "bj", "vals"]
-    return a.select(*cols).groupBy(*keys).cogroup(b.select(*cols).groupBy(*keys)).applyInPandas(product, schema)
+    if number is None:
+        return a.select(*cols).groupBy(*keys).cogroup(b.select(*cols).groupBy(*keys)).applyInPandas(product, schema)
+    tasks = max(int(a.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
+    task = F.pmod(number, F.lit(tasks)).cast("int").alias("task")
+    x, y = (f.select(task, *cols).repartitionById(tasks, F.col("task")).groupBy("task", *keys) for f in (a, b))
+    return x.cogroup(y).applyInPandas(product, schema)
 
 
 def tile_gemm(tile: int, dtype: str):
