@@ -3,7 +3,7 @@
 Tiles carry a ``path``: the subproblem that they belong to, its digits in base q.
 The residues (ci, cj) of a tile's place stay the same on every level, so with
 tiles dealt by them every level's sums are local: matching quadrants lie in one
-partition. A wide level fans out all q subproblems in one plan; a serial level
+partition, and each pair of residues has its place. A wide level fans out all q subproblems in one plan; a serial level
 runs them one after another, adding each product to a durable accumulator.
 """
 
@@ -12,7 +12,8 @@ from __future__ import annotations
 import math
 from dataclasses import replace
 
-import pandas as pd
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -36,6 +37,17 @@ def _residues(tiles: int, tasks: int) -> int:
 NATIVE_SLOTS, NATIVE_VALUES = 8, 4096
 
 
+def _added(terms: list[tuple[int, np.ndarray]]) -> np.ndarray | None:
+    """Signed sum of the tiles that are there."""
+    if not terms:
+        return None
+    c, total = terms[0]
+    total = total if c == 1 else c * total
+    for c, x in terms[1:]:
+        total = total + x if c == 1 else total - x if c == -1 else total + c * x
+    return total
+
+
 def combine(df: DataFrame, keys: list[str], slot: Column, slots: int, stages: Stages, tile: int, dtype: str, only: int | None = None) -> DataFrame:
     """Gather the tiles of a key by slot, and emit (keys, r, vals) for each output of the stages.
 
@@ -57,20 +69,20 @@ def combine(df: DataFrame, keys: list[str], slot: Column, slots: int, stages: St
 
         def sums(batches):
             for batch in batches:
-                for row in batch.to_dict("records"):
-                    known = {str(k): row[f"s{k}"] for k in range(slots)}
+                tiles = [batch.column(f"s{k}") for k in range(slots)]
+                for row in range(batch.num_rows):
+                    known = {str(k): x[row].values.to_numpy() if x[row].is_valid else None for k, x in enumerate(tiles)}
                     for name, terms in steps:
-                        there = [c * known[x] for c, x in terms if known[x] is not None]
-                        known[name] = sum(there[1:], there[0]) if there else None
+                        known[name] = _added([(c, known[x]) for c, x in terms if known[x] is not None])
                     out = [(k, known[x]) for k, x in numbered if known[x] is not None]
                     if out:
-                        frame = pd.DataFrame(out, columns=["r", "vals"])
-                        for name in keys:
-                            frame[name] = row[name]
-                        yield frame[[*keys, "r", "vals"]]
+                        flat = pa.array(np.concatenate([v for _, v in out]))
+                        vals = pa.ListArray.from_arrays(np.arange(len(out) + 1, dtype=np.int32) * len(out[0][1]), flat)
+                        same = [pa.repeat(batch.column(name)[row], len(out)) for name in keys]
+                        yield pa.RecordBatch.from_arrays([*same, pa.array([k for k, _ in out], pa.int32()), vals], [*keys, "r", "vals"])
 
         kinds = dict(gathered.dtypes)
-        return gathered.mapInPandas(sums, ", ".join(f"{k} {kinds[k]}" for k in keys) + f", r int, vals array<{dtype}>")
+        return gathered.mapInArrow(sums, ", ".join(f"{k} {kinds[k]}" for k in keys) + f", r int, vals array<{dtype}>")
     column = lambda x: F.col(f"v_{x}" if x in terms_of else f"s{x}")
     for name, terms in steps:
         gathered = gathered.withColumn(f"v_{name}", signed_sum([(c, column(x)) for c, x in terms], dtype))
@@ -89,8 +101,9 @@ class _Run:
         self.res = tuple(_residues(x // unit, self.tasks) for x in self.shape)
 
     def lay(self, df: DataFrame, rows: int, cols: int) -> DataFrame:
-        df = df.withColumn("ci", F.col("bi") % rows).withColumn("cj", F.col("bj") % cols)
-        return df.repartition(self.tasks, "ci", "cj")
+        """Deal the tiles by their residues, places to tasks in turn."""
+        df = df.withColumn("place", (F.col("bi") % rows * cols + F.col("bj") % cols).cast("int"))
+        return df.repartitionById(self.tasks, F.col("place"))
 
     def down(self, df, stages, rows, cols, only=None):
         """Combinations of quadrants: subproblems of a level, r in the path."""
@@ -98,9 +111,9 @@ class _Run:
         hr, hc = rows // n0, cols // n0
         slot = F.floor(F.col("bi") / hr).cast("int") * n0 + F.floor(F.col("bj") / hc).cast("int")
         df = df.withColumn("slot", slot).withColumn("bi", F.col("bi") % hr).withColumn("bj", F.col("bj") % hc)
-        out = combine(df, ["path", "bi", "bj", "ci", "cj"], F.col("slot"), n0 * n0, stages, self.tile, self.dtype, only)
+        out = combine(df, ["path", "bi", "bj", "place"], F.col("slot"), n0 * n0, stages, self.tile, self.dtype, only)
         out = out.withColumn("path", F.col("path") * self.s.q + F.col("r")).drop("r")
-        return out.repartition(self.tasks, "path", "ci", "cj") if self.exchange == "stepwise" else out
+        return out.repartition(self.tasks, "path", "place") if self.exchange == "stepwise" else out
 
     def up(self, q, rows, cols):
         """Products of a level to their parents' quadrants."""
@@ -108,8 +121,8 @@ class _Run:
         hr, hc = rows // n0, cols // n0
         q = q.withColumn("slot", (F.col("path") % s.q).cast("int")).withColumn("path", F.floor(F.col("path") / s.q))
         if self.exchange == "stepwise":
-            q = q.repartition(self.tasks, "path", "ci", "cj")
-        out = combine(q, ["path", "bi", "bj", "ci", "cj"], F.col("slot"), s.q, s.out, self.tile, self.dtype)
+            q = q.repartition(self.tasks, "path", "place")
+        out = combine(q, ["path", "bi", "bj", "place"], F.col("slot"), s.q, s.out, self.tile, self.dtype)
         return out.withColumn("bi", (F.col("bi") + hr * F.floor(F.col("r") / n0)).cast("int")).withColumn("bj", (F.col("bj") + hc * (F.col("r") % n0)).cast("int")).drop("r")
 
     def product(self, a, b, shape):
@@ -144,11 +157,10 @@ class _Run:
                 "path",
                 (F.col("bi") + inner[0] * F.floor(F.col("p.x") / n0)).cast("int").alias("bi"),
                 (F.col("bj") + inner[2] * (F.col("p.x") % n0)).cast("int").alias("bj"),
-                "ci",
-                "cj",
+                "place",
                 F.transform("vals", lambda v: v * F.col("p.c")).alias("vals"),
             )
-            total = q if total is None else sum_tiles(total.unionByName(q), ["path", "bi", "bj", "ci", "cj"])
+            total = q if total is None else sum_tiles(total.unionByName(q), ["path", "bi", "bj", "place"])
             total = durable(total)
         return total
 

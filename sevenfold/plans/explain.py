@@ -6,7 +6,7 @@ import re
 
 from pyspark.sql import DataFrame
 
-PATTERNS = {"exchanges": r"(?<!Broadcast)(?<!Reused)Exchange (?:hash|range|Single|Round|REB)", "broadcasts": r"BroadcastExchange", "python": r"(?:ArrowEvalPython|MapInPandas|FlatMap(?:Co)?GroupsInPandas|BatchEvalPython)", "sorts": r"\bSort \["}
+PATTERNS = {"exchanges": r"(?<!Broadcast)(?<!Reused)Exchange (?:hash|range|Single|Round|REB|shuffle)", "broadcasts": r"BroadcastExchange", "python": r"(?:ArrowEvalPython|MapInPandas|MapInArrow|FlatMap(?:Co)?GroupsInPandas|BatchEvalPython)", "sorts": r"\bSort \["}
 
 
 def spark_costs(df: DataFrame) -> dict[str, int]:
