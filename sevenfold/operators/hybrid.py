@@ -1,9 +1,9 @@
 """Fast multiplication along a schedule of wide and serial levels.
 
 Tiles carry a ``path``: the subproblem that they belong to, its digits in base q.
-The residues (ci, cj) of a tile's place stay the same on every level, so with
-tiles dealt by them every level's sums are local: matching quadrants lie in one
-partition, and each pair of residues has its place. A wide level fans out all q subproblems in one plan; a serial level
+A tile's place, the residues of its row and column, stays the same on every
+level, so with tiles dealt by it every level's sums are local: matching
+quadrants lie in one partition. A wide level fans out all q subproblems in one plan; a serial level
 runs them one after another, adding each product to a durable accumulator.
 """
 
