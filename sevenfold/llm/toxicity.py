@@ -15,7 +15,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sevenfold.llm.common import gathered, is_in_sorted, remainder_of_crc, words_of
+from sevenfold.llm.common import durable, gathered, is_in_sorted, remainder_of_crc, words_of
 
 
 @dataclass(frozen=True)
@@ -155,6 +155,7 @@ def fit(docs: DataFrame, labels: DataFrame, spec: ToxicitySpec = ToxicitySpec())
     sample = docs.select("doc_id", "text").join(F.broadcast(chosen), "doc_id")
     # copies of one text count once, and three quarters fit the tokens
     sample = sample.groupBy(F.xxhash64("text").alias("h")).agg(F.max("y").alias("y"), F.first("text").alias("text")).withColumn("part", F.pmod("h", F.lit(4)))
+    sample = durable(sample)  # bounded by per_class; else each of its three uses would read all documents
     prefixes, drift = spec.prefixes, spec.drift
 
     def tally(batches):
