@@ -186,23 +186,18 @@ def fit(train: DataFrame, text: str = "text", lang: str = "lang", key: str = "do
     # the fitting sample: a hash threshold for each language, then a hard bound
     share = spark.createDataFrame([(y, min(1.0, spec.per_language / n)) for y, n in totals.items()], "y string, share double")
     draw = F.pmod(F.xxhash64("k", "t"), F.lit(1 << 30)) / float(1 << 30)
-    sample = (
-        rows.join(F.broadcast(share), "y")
-        .withColumn("u", draw)
-        .where("u < share")
-        .withColumn("u", F.col("u") / F.col("share"))
-        .select("y", "u", "t")
-        .orderBy("u", "y")
-        .limit(int(1.5 * spec.per_language * len(languages)) + 1)
-    )
+    sample = rows.join(F.broadcast(share), "y").withColumn("u", draw).where("u < share").withColumn("u", F.col("u") / F.col("share"))
 
     def features(batches):
         for batch in batches:
             got = [ngram_counts(v, bits, piece) for v in batch["t"]]
             yield pd.DataFrame({"y": batch["y"], "u": batch["u"], "idx": [g[0] for g in got], "cnt": [g[1] for g in got]})
 
+    # features first, so that all tasks share them and no text is gathered
+    found = sample.select("y", "u", "t").mapInPandas(features, "y string, u double, idx array<int>, cnt array<int>")
+    most = int(1.5 * spec.per_language * len(languages)) + 1
     number = {y: k for k, y in enumerate(languages)}
-    got = sample.mapInPandas(features, "y string, u double, idx array<int>, cnt array<int>").toPandas().sort_values(["u", "y"])
+    got = found.orderBy("u", "y").limit(most).toPandas().sort_values(["u", "y"])
     data = [(number[y], np.asarray(i), np.asarray(c)) for y, i, c in zip(got["y"], got["idx"], got["cnt"], strict=True)]
     held = [r for k, r in enumerate(data) if k % 5 == 0]
     fitted = [r for k, r in enumerate(data) if k % 5 or len(data) < 50]
