@@ -40,16 +40,20 @@ class CountingQuotientFilter:
         return cls(block_bits, quotients, fingerprints & np.uint64((1 << int(low)) - 1), counts)
 
     def pack(self) -> bytes:
-        """Run lengths by quotient, then remainders in order, then counters."""
-        runs = np.bincount(self.quotients, minlength=1 << QUOTIENT_BITS).astype("<u4")
-        return runs.tobytes() + self.remainders.astype("<u8").tobytes() + self.counts.astype("<u8").tobytes()
+        """Number of occupied quotients, those, their run lengths, then remainders in order, then counters.
+
+        A partition with few rows a block sends few bytes for each, however many blocks there are.
+        """
+        occupied, runs = np.unique(self.quotients, return_counts=True)
+        head = (np.array([len(occupied)], dtype="<u4"), occupied.astype("<u2"), runs.astype("<u4"))
+        return b"".join(x.tobytes() for x in (*head, self.remainders.astype("<u8"), self.counts.astype("<u8")))
 
     @classmethod
     def unpack(cls, data: bytes, block_bits: int) -> CountingQuotientFilter:
-        at = 4 << QUOTIENT_BITS
-        runs = np.frombuffer(data, "<u4", 1 << QUOTIENT_BITS)
-        n = (len(data) - at) // 16
-        return cls(block_bits, np.repeat(np.arange(1 << QUOTIENT_BITS), runs), np.frombuffer(data, "<u8", n, at), np.frombuffer(data, "<u8", n, at + 8 * n))
+        k = int(np.frombuffer(data, "<u4", 1)[0])
+        occupied, runs = np.frombuffer(data, "<u2", k, 4), np.frombuffer(data, "<u4", k, 4 + 2 * k)
+        at, n = 4 + 6 * k, int(runs.sum())
+        return cls(block_bits, np.repeat(occupied.astype(np.int64), runs), np.frombuffer(data, "<u8", n, at), np.frombuffer(data, "<u8", n, at + 8 * n))
 
     def fingerprints(self, block: int) -> np.ndarray:
         low = np.uint64(64 - self.block_bits - QUOTIENT_BITS)
