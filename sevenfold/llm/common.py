@@ -169,3 +169,25 @@ def is_in_sorted(values: np.ndarray, table: np.ndarray):
     at = np.searchsorted(table, values)
     at[at == len(table)] = 0
     return at, table[at] == values
+
+
+class SortedTable:
+    """Sorted distinct hashes behind a table of their low bits.
+
+    Most values that the table lacks end at one look-up; only the rest, at most
+    about a sixteenth of them up to a million values, is searched for. The answer is exact.
+    """
+
+    def __init__(self, values: np.ndarray):
+        self.values = values
+        self.mask = np.uint64((1 << min(24, max(10, (16 * len(values)).bit_length()))) - 1)
+        self._low = None  # made where it is used, so that it isn't shipped
+
+    def find(self, values: np.ndarray):
+        """Which of ``values`` are in the table, as numbers in order, and their places in it."""
+        if self._low is None:
+            self._low = np.zeros(int(self.mask) + 1, dtype=bool)
+            self._low[self.values & self.mask] = True
+        near = np.flatnonzero(self._low[values & self.mask])
+        at, known = is_in_sorted(values[near], self.values)
+        return near[known], at[known]

@@ -15,7 +15,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sevenfold.llm.common import durable, gathered, is_in_sorted, remainder_of_crc, words_of
+from sevenfold.llm.common import SortedTable, durable, gathered, remainder_of_crc, words_of
 
 
 @dataclass(frozen=True)
@@ -88,7 +88,7 @@ class ToxicityModel:
     def __init__(self, spec, keys=None, scores=None):
         self.spec = spec
         order = np.argsort(keys) if keys is not None and len(keys) else np.zeros(0, dtype=np.int64)
-        self.keys = keys[order] if len(order) else np.zeros(0, dtype=np.uint64)
+        self.table = SortedTable(keys[order] if len(order) else np.zeros(0, dtype=np.uint64))
         self.scores = scores[order] if len(order) else np.zeros(0)
         self.lam, self.k = 1.0, 0.1
         self.coef = np.array([-4.0, 0.0, 0.0])
@@ -97,9 +97,8 @@ class ToxicityModel:
         """Best evidence of a word or its prefixes; minus the drift without any."""
         out = np.full(hashes.shape[1], -self.spec.drift)
         for row in hashes:
-            at, known = is_in_sorted(row, self.keys)
-            if known.any():
-                out[known] = np.maximum(out[known], self.scores[at[known]])
+            known, at = self.table.find(row)
+            out[known] = np.maximum(out[known], self.scores[at])
         return out
 
     def features(self, n_words: int, segments) -> np.ndarray:
