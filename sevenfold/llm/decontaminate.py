@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from sevenfold.llm.common import gathered, is_in_sorted, mix64, words_of
+from sevenfold.llm.common import SortedTable, gathered, is_in_sorted, mix64, words_of
 
 WINDOW = 10
 #: Windows of one block of the benchmark. A larger benchmark goes over the documents in several blocks.
@@ -73,14 +73,14 @@ class WindowIndex:
         for (n, place), rows in sorted(groups.items()):
             rows.sort(key=lambda r: r[1])
             self.groups.append((n, place, np.unique(np.array([r[0] for r in rows], dtype=np.uint64)), np.array([r[1] for r in rows], dtype=np.uint64), np.array([r[2] for r in rows])))
-        self.rare = np.unique(np.concatenate([g[2] for g in self.groups])) if self.groups else np.zeros(0, dtype=np.uint64)
+        self.rare = SortedTable(np.unique(np.concatenate([g[2] for g in self.groups])) if self.groups else np.zeros(0, dtype=np.uint64))
 
     def find(self, data: bytes, s: np.ndarray, e: np.ndarray, h: np.ndarray, bound: np.ndarray):
         """(first word, length, window number) of every verified occurrence.
 
         ``bound`` has for each word the number of the word at which its text has ended.
         """
-        rare = np.flatnonzero(is_in_sorted(h, self.rare)[1])
+        rare, _ = self.rare.find(h)
         out = []
         if not len(rare):
             return out
@@ -139,14 +139,13 @@ def word_frequencies(docs: DataFrame, vocabulary: np.ndarray, text: str = "text"
     shipped = docs.sparkSession.sparkContext.broadcast(vocabulary)
 
     def count(batches):
-        table = shipped.value
-        total = np.zeros(len(table), dtype=np.int64)
+        table = SortedTable(shipped.value)
+        total = np.zeros(len(table.values), dtype=np.int64)
         for batch in batches:
             for _, _, data in gathered(batch["t"]):
-                at, known = is_in_sorted(words_of(data)[3][0], table)
-                total += np.bincount(at[known], minlength=len(table))
+                total += np.bincount(table.find(words_of(data)[3][0])[1], minlength=len(total))
         some = np.flatnonzero(total)
-        yield pd.DataFrame({"word": table[some].view(np.int64), "n": total[some]})
+        yield pd.DataFrame({"word": table.values[some].view(np.int64), "n": total[some]})
 
     got = docs.select(F.col(text).alias("t")).mapInPandas(count, "word long, n long").groupBy("word").agg(F.sum("n").alias("n")).toPandas()
     return dict(zip(got["word"].to_numpy(dtype=np.int64).view(np.uint64).tolist(), got["n"].tolist(), strict=True))
