@@ -25,7 +25,9 @@ class ToxicitySpec:
     ``max_tokens`` bounds the table of telling tokens (those of largest z-score).
     ``prior`` is the total weight of the Dirichlet prior, spread over the tokens
     as they occur in both classes together. ``drift`` is what a token without
-    evidence costs, ``min_z`` the significance that a token must reach.
+    evidence costs at least; it grows until clean text scores below zero.
+    ``min_z`` is the significance that a token must reach and ``min_delta`` its
+    log-odds, as with many rows any small difference is significant.
     """
 
     per_class: int = 12_000
@@ -33,6 +35,7 @@ class ToxicitySpec:
     prefixes: tuple[int, ...] = (4, 5, 6, 7, 8)
     prior: float = 200.0
     min_z: float = 3.0
+    min_delta: float = 1.0
     drift: float = 0.06
     min_segment_nats: float = 1.0
 
@@ -90,12 +93,12 @@ class ToxicityModel:
         order = np.argsort(keys) if keys is not None and len(keys) else np.zeros(0, dtype=np.int64)
         self.table = SortedTable(keys[order] if len(order) else np.zeros(0, dtype=np.uint64))
         self.scores = scores[order] if len(order) else np.zeros(0)
-        self.lam, self.k = 1.0, 0.1
+        self.drift, self.lam, self.k = spec.drift, 1.0, 0.1
         self.coef = np.array([-4.0, 0.0, 0.0])
 
     def token_scores(self, hashes: np.ndarray) -> np.ndarray:
         """Best evidence of a word or its prefixes; minus the drift without any."""
-        out = np.full(hashes.shape[1], -self.spec.drift)
+        out = np.full(hashes.shape[1], -self.drift)
         for row in hashes:
             known, at = self.table.find(row)
             out[known] = np.maximum(out[known], self.scores[at])
@@ -155,7 +158,7 @@ def fit(docs: DataFrame, labels: DataFrame, spec: ToxicitySpec = ToxicitySpec())
     # copies of one text count once, and three quarters fit the tokens
     sample = sample.groupBy(F.xxhash64("text").alias("h")).agg(F.max("y").alias("y"), F.first("text").alias("text")).withColumn("part", F.pmod("h", F.lit(4)))
     sample = durable(sample)  # bounded by per_class; else each of its three uses would read all documents
-    prefixes, drift = spec.prefixes, spec.drift
+    prefixes = spec.prefixes
 
     def tally(batches):
         seen: dict[tuple[int, int], list[np.ndarray]] = {}
@@ -192,11 +195,26 @@ def fit(docs: DataFrame, labels: DataFrame, spec: ToxicitySpec = ToxicitySpec())
     prior = spec.prior * (F.col("t") + F.col("c")) / (total_t + total_c)
     delta = F.log((F.col("t") + prior) / (total_t + spec.prior - F.col("t"))) - F.log((F.col("c") + prior) / (total_c + spec.prior - F.col("c")))
     z = F.col("delta") / F.sqrt(1 / (F.col("t") + F.col("prior")) + 1 / (F.col("c") + F.col("prior")))
-    telling = counts.where(F.col("t") + prior > 0).withColumn("prior", prior).withColumn("delta", delta).withColumn("z", z).where(F.col("z") >= spec.min_z)
+    telling = counts.where(F.col("t") + prior > 0).withColumn("prior", prior).withColumn("delta", delta).withColumn("z", z).where((F.col("z") >= spec.min_z) & (F.col("delta") >= spec.min_delta))
     got = telling.orderBy(F.desc("z"), "key").limit(spec.max_tokens).select("key", "delta").toPandas()
     model = ToxicityModel(spec, got["key"].to_numpy(dtype=np.int64).view(np.uint64), np.minimum(got["delta"].to_numpy(dtype=float), 8.0))
 
     # the other quarter: score distribution of clean tokens, then segments for the calibration
+    first = spark.sparkContext.broadcast(model)
+
+    def clean_tokens(batches):
+        m = first.value
+        for batch in batches:
+            for _, _, data in gathered(batch["text"]):
+                values, n = np.unique(np.round(m.token_scores(words_of(data, prefixes=prefixes)[3]), 2), return_counts=True)
+                yield pd.DataFrame({"value": values, "n": n})
+
+    got = sample.where("part = 0 and y = 0").select("text").mapInPandas(clean_tokens, "value double, n long").groupBy("value").agg(F.sum("n").alias("n")).toPandas()
+    values, weights = got["value"].to_numpy(dtype=float), got["n"].to_numpy(dtype=float)
+    if weights[values <= 0].sum():
+        # segments mean something only where the expected score is negative
+        model.drift = max(spec.drift, 2 * float(values[values > 0] @ weights[values > 0]) / float(weights[values <= 0].sum()))
+        model.lam = karlin_lambda(np.where(values > 0, values, -model.drift), weights)
     shipped = spark.sparkContext.broadcast(model)
 
     def measure(batches):
@@ -204,25 +222,17 @@ def fit(docs: DataFrame, labels: DataFrame, spec: ToxicitySpec = ToxicitySpec())
         for batch in batches:
             rows = []
             ys = batch["y"].tolist()
-            for k, words, segments, s, *_ in m.scan(batch["text"]):
-                rows.append((int(ys[k]), words, [x[2] for x in segments], [x[1] - x[0] for x in segments]))
-            yield pd.DataFrame(rows, columns=["y", "n", "score", "len"])
+            for k, words, segments, *_ in m.scan(batch["text"]):
+                rows.append((int(ys[k]), words, [x[2] for x in segments]))
+            yield pd.DataFrame(rows, columns=["y", "n", "score"])
 
-    held = sample.where("part = 0").select("y", "text").mapInPandas(measure, "y int, n long, score array<double>, len array<long>").toPandas()
+    held = sample.where("part = 0").select("y", "text").mapInPandas(measure, "y int, n long, score array<double>").toPandas()
     if not len(held) or held["y"].nunique() < 2:
         model.coef = np.array([-3.0, 1.0, 0.0])
         return model
     clean = held[held["y"] == 0]
-    hits = np.array([x for r in clean["score"] for x in r], dtype=float)
-    width = float(sum(int(x) for r in clean["len"] for x in r))
-    words = float(clean["n"].sum())
-    if len(hits):
-        values, weights = np.unique(np.round(np.append(hits, -drift), 2), return_counts=True)
-        weights = weights.astype(float)
-        weights[values == round(-drift, 2)] = max(1.0, words - width)
-        model.lam = karlin_lambda(values, weights)
-    expected = np.exp(-model.lam * hits)
-    model.k = float(np.clip(len(hits) / max(1.0, words), 1e-4, 1.0)) if len(expected) else 1e-4
+    hits, words = sum(len(r) for r in clean["score"]), float(clean["n"].sum())
+    model.k = float(np.clip(hits / max(1.0, words), 1e-4, 1.0))
     x = np.stack([model.features(int(r.n), [(0, 0, s) for s in r.score]) for r in held.itertuples()])
     y = held["y"].to_numpy(dtype=float)
     back = np.where(y == 1, n[1] / max(1, (y == 1).sum()), n[0] / max(1, (y == 0).sum()))

@@ -126,6 +126,13 @@ def test_toxicity(spark):
     assert blank.probability(10, []) < 0.5
 
 
+def test_toxicity_held_out(spark):
+    d = "/root/testdata/sf0.1"
+    labels = spark.read.parquet(f"{d}/labels.parquet").select("doc_id", "toxic")
+    got = {(r.toxic, r.predicted): r["count"] for r in toxicity.op2_toxicity(spark, d).where("held_out").join(labels, "doc_id").groupBy("toxic", "predicted").count().collect()}
+    assert got[1, 1] > 0.9 * (got[1, 1] + got.get((1, 0), 0)) and got.get((0, 1), 0) < 0.02 * got[0, 0]
+
+
 # ------------------------------------------------------------------------------- 3
 def test_token_counts(spark, odd_rows):
     docs = docs_of(spark, odd_rows)
