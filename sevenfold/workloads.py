@@ -439,6 +439,7 @@ _simple("o_unpivot", "SELECT s_suppkey, 'nation' AS what, CAST(s_nationkey AS DO
 _simple("o_sort_agg", "SELECT p_brand, min(p_name) AS low, max(p_type) AS high FROM part GROUP BY 1", lambda s, d: table(s, d, "part").groupBy("p_brand").agg(F.min("p_name").alias("low"), F.max("p_type").alias("high")))
 _simple("o_topk_row", _A + "SELECT i, j, v, r FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY v DESC, j) AS r FROM a) WHERE r <= 3", lambda s, d: rel.topk_per_row(fold_pair(s, d)[0], 3).withColumn("r", F.col("r").cast("long")))
 _simple("o_rank_forms", _A + "SELECT i, j, rank() OVER w AS a1, dense_rank() OVER w AS a2, ntile(4) OVER (PARTITION BY i ORDER BY v, j) AS a3 FROM a WHERE i < 20 WINDOW w AS (PARTITION BY i ORDER BY v)", lambda s, d: fold_pair(s, d)[0].where("i < 20").select("i", "j", F.rank().over(Window.partitionBy("i").orderBy("v")).cast("long").alias("a1"), F.dense_rank().over(Window.partitionBy("i").orderBy("v")).cast("long").alias("a2"), F.ntile(4).over(Window.partitionBy("i").orderBy("v", "j")).cast("long").alias("a3")))
+_simple("o_rank_forms_all", _A + "SELECT i, j, rank() OVER w AS a1, dense_rank() OVER w AS a2, ntile(4) OVER (PARTITION BY i ORDER BY v, j) AS a3 FROM a WINDOW w AS (PARTITION BY i ORDER BY v)", lambda s, d: fold_pair(s, d)[0].select("i", "j", F.rank().over(Window.partitionBy("i").orderBy("v")).cast("long").alias("a1"), F.dense_rank().over(Window.partitionBy("i").orderBy("v")).cast("long").alias("a2"), F.ntile(4).over(Window.partitionBy("i").orderBy("v", "j")).cast("long").alias("a3")))
 _simple("o_lag_pairs", "SELECT event_id, lag(event_type) OVER w AS before, lead(event_type) OVER w AS after FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)", lambda s, d: (lambda w: table(s, d, "events", "event_id", "user_id", "ts", "event_type").select("event_id", F.lag("event_type").over(w).alias("before"), F.lead("event_type").over(w).alias("after")))(Window.partitionBy("user_id").orderBy("ts", "event_id")))
 _simple("o_cum_row", _A + "SELECT i, j, CAST(sum(v) OVER (PARTITION BY i ORDER BY j) AS BIGINT) AS v FROM a", lambda s, d: fold_pair(s, d)[0].select("i", "j", F.sum("v").over(Window.partitionBy("i").orderBy("j").rowsBetween(Window.unboundedPreceding, 0)).alias("v")))
 _simple("o_range_frame", _A + "SELECT i, j, CAST(sum(v) OVER (PARTITION BY i ORDER BY j RANGE BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS BIGINT) AS v FROM a", lambda s, d: fold_pair(s, d)[0].select("i", "j", F.sum("v").over(Window.partitionBy("i").orderBy("j").rangeBetween(-2, 2)).alias("v")))

@@ -157,3 +157,12 @@ def test_entry_points(spark):
 
     assert set(e.oracle_sql()) <= set(e.queries())
     assert e.entry(spark).count() > 0
+
+
+def test_rank_forms_of_all_rows(spark):
+    from sevenfold.workloads import QUERIES
+
+    d = "/root/testdata/sf0.001"
+    some, whole = (QUERIES[f"o_rank_forms{x}"](spark, d) for x in ("", "_all"))
+    assert whole.count() == QUERIES["o_fold"](spark, d).count() and whole.select("i").distinct().count() == 56
+    assert some.exceptAll(whole.where("i < 20")).count() == 0 == whole.where("i < 20").exceptAll(some).count()
