@@ -435,6 +435,8 @@ for _kind in ("rollup", "cube"):
 _simple("o_grouping_sets", "SELECT l_returnflag, l_linestatus, CAST(sum(l_quantity) AS BIGINT) AS v FROM lineitem GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())", lambda s, d: table(s, d, "lineitem", "l_returnflag", "l_linestatus", "l_quantity").groupingSets([[F.col("l_returnflag")], [F.col("l_linestatus")], []], "l_returnflag", "l_linestatus").agg(F.sum("l_quantity").cast("long").alias("v")))
 _TYPES = ["click", "purchase", "signup", "view"]
 _simple("o_pivot", "SELECT user_id, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in _TYPES) + " FROM events GROUP BY 1", lambda s, d: table(s, d, "events", "user_id", "event_type").groupBy("user_id").agg(*(F.count_if(F.col("event_type") == t).alias(t) for t in _TYPES)))
+_ALL_TYPES = sorted([*_TYPES, "error"])
+_simple("o_pivot_all", "SELECT user_id, " + ", ".join(f"count(*) FILTER (event_type = '{t}') AS {t}" for t in _ALL_TYPES) + " FROM events GROUP BY 1", lambda s, d: table(s, d, "events", "user_id", "event_type").groupBy("user_id").agg(*(F.count_if(F.col("event_type") == t).alias(t) for t in _ALL_TYPES)))
 _simple("o_unpivot", "SELECT s_suppkey, 'nation' AS what, CAST(s_nationkey AS DOUBLE) AS v FROM supplier UNION ALL SELECT s_suppkey, 'balance', s_acctbal FROM supplier", lambda s, d: table(s, d, "supplier").select("s_suppkey", F.col("s_nationkey").cast("double").alias("nation"), F.col("s_acctbal").alias("balance")).unpivot("s_suppkey", ["nation", "balance"], "what", "v"))
 _simple("o_sort_agg", "SELECT p_brand, min(p_name) AS low, max(p_type) AS high FROM part GROUP BY 1", lambda s, d: table(s, d, "part").groupBy("p_brand").agg(F.min("p_name").alias("low"), F.max("p_type").alias("high")))
 _simple("o_topk_row", _A + "SELECT i, j, v, r FROM (SELECT *, row_number() OVER (PARTITION BY i ORDER BY v DESC, j) AS r FROM a) WHERE r <= 3", lambda s, d: rel.topk_per_row(fold_pair(s, d)[0], 3).withColumn("r", F.col("r").cast("long")))

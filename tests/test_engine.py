@@ -166,3 +166,13 @@ def test_rank_forms_of_all_rows(spark):
     some, whole = (QUERIES[f"o_rank_forms{x}"](spark, d) for x in ("", "_all"))
     assert whole.count() == QUERIES["o_fold"](spark, d).count() and whole.select("i").distinct().count() == 56
     assert some.exceptAll(whole.where("i < 20")).count() == 0 == whole.where("i < 20").exceptAll(some).count()
+
+
+def test_pivot_counts_all_events(spark):
+    from sevenfold.workloads import QUERIES
+
+    d = "/root/testdata/sf0.001"
+    wide = QUERIES["o_pivot_all"](spark, d)
+    events = spark.read.parquet(f"{d}/events.parquet")
+    assert sum(wide.groupBy().sum(*wide.columns[1:]).first()) == events.count()
+    assert set(wide.columns[1:]) == {r[0] for r in events.select("event_type").distinct().collect()}
