@@ -155,14 +155,18 @@ FROM c JOIN g ON c.source IS NOT DISTINCT FROM g.source
 def take_mix(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: the documents in the mix, with ``taken`` words and ``copies`` begun.
 
-    Rows that repeat id and text share what they take: each has the mean, the
-    remainder going to none.
+    Rows that repeat id, source and text are told apart by a row number, so each
+    takes what the plan gives to one of them.
     """
     mark = F.xxhash64(F.coalesce("text", F.lit(""))).alias("h")
-    plan = plan_mix(docs, carry=(mark,))
-    plan = plan.groupBy("id", "src", "h").agg(F.floor(F.sum("taken") / F.count("*")).cast("long").alias("mix_taken"), F.max("size").alias("mix_size")).where("mix_taken > 0")
+    plan = durable(plan_mix(docs, carry=(mark,)).select("id", "src", "h", F.col("taken").alias("mix_taken"), F.col("size").alias("mix_size")))
     packed = docs.select(F.struct("*").alias("row"), F.col("doc_id").alias("d_id"), F.col("source").alias("d_src"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("d_h"))
+    repeats = plan.groupBy("id", "src", "h").count().where("count > 1").limit(1).count()
+    if repeats:
+        plan = plan.withColumn("turn", F.row_number().over(Window.partitionBy("id", "src", "h").orderBy(F.desc("mix_taken"))))
+        packed = packed.withColumn("d_turn", F.row_number().over(Window.partitionBy("d_id", "d_src", "d_h").orderBy(F.xxhash64("row"))))
+    plan = plan.where("mix_taken > 0")
     same = packed["d_id"].eqNullSafe(plan["id"]) & packed["d_src"].eqNullSafe(plan["src"]) & (packed["d_h"] == plan["h"])
-    found = packed.join(plan, same)
+    found = packed.join(plan, same & (packed["d_turn"] == plan["turn"]) if repeats else same)
     named = [c for c in docs.columns if c not in ("taken", "copies")]
     return found.select(*(F.col("row")[c].alias(c) for c in named), F.col("mix_taken").alias("taken"), F.ceil(F.col("mix_taken") / F.col("mix_size")).cast("int").alias("copies"))

@@ -267,6 +267,14 @@ def test_mixing(spark, odd_rows):
     assert mixing.plan_mix(docs.where("false")).count() == 0
 
 
+def test_mix_keeps_words_of_repeats(spark):
+    docs = docs_of(spark, [(7, "hello", "en", "a")] * 60 + [(100 + k, "some words", "en", "b") for k in range(30)])
+    plan, stage = mixing.plan_mix(docs), mixing.take_mix(spark, docs, "")
+    words = lambda df, source: df.groupBy(source).agg(F.sum("taken")).where(f"{source} = 'a'").first()[1]
+    assert words(stage, "source") == words(plan, "src") == 40
+    assert stage.count() == plan.where("taken > 0").count()
+
+
 # ------------------------------------------------------------------------------- 8
 def brute_hits(text, items):
     find = lambda t: re.findall("[^\x00-\x2f\x3a-\x60\x7b-\x7f]+", "".join(c.lower() if c.isascii() else c for c in t or ""))
