@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 
 from sevenfold.llm.common import durable, small_side
 from sevenfold.llm.graph import connected_components, local_components
+from sevenfold.llm.shingles import SIMILARITY, WIDTH, near_copies
 
 BUDGET = 3
 SEGMENTS = 4
@@ -220,15 +221,18 @@ def op9_simhash(spark, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
-def drop_near_copies(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
+def drop_near_copies(spark, docs: DataFrame, sf_dir: str, width: int = WIDTH, similarity: float = SIMILARITY) -> DataFrame:
     """Pipeline stage: of each group the document with the smallest doc_id stays.
 
+    Groups are of texts whose shingles of ``width`` words have at least that Jaccard
+    similarity, exactly; three bits of op9's fingerprints would miss most of them.
     Rows that tie in id are told apart by a hash of their text; of whole repeats one stays.
     """
     mark = F.xxhash64(F.coalesce("text", F.lit("")))
-    tagged = durable(docs.select(F.col("doc_id").alias("id"), mark.alias("h"), _fingerprints(F.col("text")).alias("fp")))
-    groups = near_groups(tagged.select("id", "fp"), "id")
-    placed = tagged.join(groups, "fp", "left")
+    tagged = durable(docs.select(F.col("doc_id").alias("id"), mark.alias("h")))
+    near = durable(near_copies(docs.select(mark.alias("h"), "text"), width, similarity))
+    near = small_side(near.select(F.col("h").alias("v"), "root"))
+    placed = tagged.join(near, tagged["h"] == near["v"], "left").select("id", "h", F.coalesce("root", "h").alias("component_id"))
     size = durable(placed.groupBy("component_id").agg(F.count("*").alias("n"), F.min(F.struct("id", "h")).alias("best")).where("n > 1"))
     members = placed.join(small_side(size), "component_id")
     gone = durable(members.where(~F.struct("id", "h").eqNullSafe(F.col("best"))).select("id", "h").distinct())

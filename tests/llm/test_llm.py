@@ -14,6 +14,7 @@ from pyspark.sql import functions as F
 from sevenfold.llm import chat, decontaminate, exact_dedup, language, mixing, secrets, simhash, token_counts, toxicity, warc
 from sevenfold.llm.common import words_of
 from sevenfold.llm.graph import connected_components, local_components
+from sevenfold.llm.shingles import shingle_sets, similar_components
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, fp string, keep_id string, size string, score string, row string, id string, key string"
 WORDS = "alpha beta gamma delta eps zeta eta theta iota kappa lamda mu nu xi omicron pi rho sigma tau ypsilon".split()
@@ -348,6 +349,35 @@ def test_simhash_groups(spark, odd_rows, tmp_path):
     assert simhash.drop_near_copies(spark, docs.where("false"), "").count() == 0
 
 
+def brute_jaccard(x, y, width=5):
+    x, y = ({tuple(w[k : k + width]) for k in range(max(1, len(w) - width + 1))} for w in ((t or "").lower().split() for t in (x, y)))
+    return len(x & y) / len(x | y)
+
+
+def test_near_copies_equal_brute_force(spark):
+    rng = random.Random(9)
+    rows, passage = [], " ".join(rng.choice(WORDS) for _ in range(30))
+    for n in (4, 5, 9, 12, 40, 100, 150, 400):
+        for _ in range(3):
+            words = [rng.choice(WORDS) for _ in range(n)]
+            rows.append(" ".join(words))
+            for edits in (1, 1, 2, 3):
+                words = list(words)
+                for _ in range(edits * max(1, n // 150)):
+                    words[rng.randrange(n)] = rng.choice(WORDS).upper()
+                rows.append(" ".join(words) + "  " * rng.randrange(2))
+    rows += [passage + " " + " ".join(rng.choice(WORDS) for _ in range(k)) for k in range(2, 12)] + ["", None, " \n"]
+    i, j = np.triu_indices(len(rows), 1)
+    score = np.array([brute_jaccard(rows[a], rows[b]) for a, b in zip(i, j, strict=True)])
+    label = local_components(len(rows), i[score >= 0.8], j[score >= 0.8])
+    assert len(set(label)) < len(rows) and ((score > 0.6) & (score < 0.8)).any()
+    docs = spark.createDataFrame(list(enumerate(rows)), "doc_id long, text string")
+    got = {r.doc_id for r in simhash.drop_near_copies(spark, docs, "").collect()}
+    assert got == set(label.tolist())
+    sets = {k: v for n, p, s in shingle_sets(rows) for k, v in zip(n.tolist(), np.split(s, np.flatnonzero(np.diff(p)) + 1), strict=True)}
+    assert (similar_components([sets[k] for k in range(len(rows))]) == label).all()
+
+
 def test_components(spark):
     chain = [(k, k + 1) for k in range(40)] + [(100, 200), (300, 200), (7, 7)]
     got = {r.v: r.root for r in connected_components(spark.createDataFrame(chain, "a long, b long")).collect()}
