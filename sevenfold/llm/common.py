@@ -10,6 +10,8 @@ from pyspark.sql import functions as F
 
 #: Rows up to which a side of a join may be broadcast; beyond it the join shuffles.
 BROADCAST_ROWS = 1_000_000
+#: Bytes of its values, as counted, up to which it may be.
+BROADCAST_BYTES = 64 << 20
 
 #: Bytes of text that are tokenised at once; longer texts go in pieces of this size.
 PIECE_BYTES = 1 << 20
@@ -18,10 +20,15 @@ _MULTIPLIER = 0x9E3779B97F4A7C15 | 1
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The folder named by ``spark.checkpoint.dir``; a fresh local one only if none is set."""
+    """The folder named by ``spark.checkpoint.dir``; in local mode a fresh one if none is set.
+
+    On a cluster a folder of one machine would not do, so there it must be named.
+    """
     sc = spark.sparkContext
     named = spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()
     if not named:
+        if not sc.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
         named = tempfile.mkdtemp(prefix="sevenfold-checkpoint-")
         sc.setCheckpointDir(named)
     elif not sc.getCheckpointDir():
@@ -35,13 +42,27 @@ def durable(df: DataFrame) -> DataFrame:
     return df.checkpoint(eager=True)
 
 
-def small_side(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
-    """Mark ``df`` for broadcast only if it is counted to hold at most ``rows`` rows.
+def _value_bytes(df: DataFrame):
+    """Column with about the bytes of a row's values: strings and arrays by their sizes, others 8 each."""
+    total = F.lit(16)
+    for name, kind in df.dtypes:
+        if kind in ("string", "binary"):
+            total = total + F.coalesce(F.octet_length(f"`{name}`"), F.lit(0))
+        elif kind.startswith("array"):
+            total = total + F.greatest(F.size(f"`{name}`"), F.lit(0)) * 16
+        else:
+            total = total + 8
+    return total
+
+
+def small_side(df: DataFrame, rows: int = BROADCAST_ROWS, size: int = BROADCAST_BYTES) -> DataFrame:
+    """Mark ``df`` for broadcast only if it is counted to hold at most ``rows`` rows and ``size`` bytes.
 
-    ``df`` should be checkpointed, as it is counted. Beyond the bound it comes
+    ``df`` should be checkpointed, as it is counted. Beyond the bounds it comes
     back unmarked, and Spark joins by shuffle with its skew handling.
     """
-    return F.broadcast(df) if df.count() <= rows else df
+    n, held = df.agg(F.count("*"), F.sum(_value_bytes(df))).first()
+    return F.broadcast(df) if n <= rows and (held or 0) <= size else df
 
 
 def remainder_of_crc(column: str, modulus: int):
