@@ -155,21 +155,27 @@ def assign_records(pages: DataFrame) -> DataFrame:
     """page_id, url, payload, payload_digest, payload_bytes, refers_to of every page.
 
     Of equal payloads of ``LEAST_REVISIT`` bytes or more the largest page_id is
-    the response; rows that tie in it are all responses. Copies are aggregated
-    before they shuffle.
+    the response; rows that tie in it are all responses. Payloads are equal when
+    their SHA-1, their SHA-256 and their lengths are, so known collisions of SHA-1
+    aren't taken for copies. Copies are aggregated before they shuffle.
     """
     payload = F.coalesce(F.col("html"), F.lit("")).cast("binary")
     rows = pages.select("page_id", "url", payload.alias("payload"), F.sha1(payload).alias("payload_digest"), F.octet_length(payload).cast("long").alias("payload_bytes"))
+    rows = rows.withColumn("second", F.sha2(F.when(F.col("payload_bytes") >= LEAST_REVISIT, F.col("payload")), 256))
     large = rows.where(F.col("payload_bytes") >= LEAST_REVISIT)
-    first = large.groupBy(F.col("payload_digest").alias("g_digest"), F.col("payload_bytes").alias("g_bytes")).agg(F.max("page_id").alias("first_id"), F.count("*").alias("n")).where("n > 1").drop("n")
+    first = large.groupBy(F.col("payload_digest").alias("g_digest"), F.col("second").alias("g_second"), F.col("payload_bytes").alias("g_bytes")).agg(F.max("page_id").alias("first_id"), F.count("*").alias("n")).where("n > 1").drop("n")
     side = small_side(durable(first))
-    same = (rows["payload_digest"] == side["g_digest"]) & (rows["payload_bytes"] == side["g_bytes"])
+    same = (rows["payload_digest"] == side["g_digest"]) & (rows["second"] == side["g_second"]) & (rows["payload_bytes"] == side["g_bytes"])
     revisits = F.when(F.col("first_id").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first_id")), F.col("first_id"))
     return rows.join(side, same, "left").select("page_id", "url", "payload", "payload_digest", "payload_bytes", revisits.alias("refers_to"))
 
 
 def write_monolithic(records: DataFrame, path: str, archive_bytes: int = ARCHIVE_BYTES) -> None:
-    """Archives of one gzip stream each, of about ``archive_bytes`` of records."""
+    """Archives of one gzip stream each, of about ``archive_bytes`` of records.
+
+    Ids travel as text: as numbers, a batch that holds a null would turn them to
+    floating point, and large ids would change.
+    """
 
     def pack(batches):
         part, number = TaskContext.get().partitionId(), 0
@@ -177,9 +183,7 @@ def write_monolithic(records: DataFrame, path: str, archive_bytes: int = ARCHIVE
         out: list[bytes] = []
         for batch in batches:
             for row in batch.itertuples(index=False):
-                page = None if pd.isna(row.page_id) else int(row.page_id)
-                refers = None if pd.isna(row.refers_to) else int(row.refers_to)
-                record = record_bytes(page, row.url, bytes(row.payload), row.payload_digest, refers)
+                record = record_bytes(row.page_id, row.url, bytes(row.payload), row.payload_digest, row.refers_to)
                 out.append(stream.compress(record))
                 size += len(record)
                 if size >= archive_bytes:
@@ -190,7 +194,8 @@ def write_monolithic(records: DataFrame, path: str, archive_bytes: int = ARCHIVE
             out.append(stream.flush())
             yield pd.DataFrame({"archive": [f"a{part:06d}-{number:05d}"], "data": [b"".join(out)]})
 
-    _write_files(records.mapInPandas(pack, "archive string, data binary"), path, ["archive"])
+    named = records.withColumn("page_id", F.col("page_id").cast("string")).withColumn("refers_to", F.col("refers_to").cast("string"))
+    _write_files(named.mapInPandas(pack, "archive string, data binary"), path, ["archive"])
 
 
 def normalise_archives(spark, source: str, target: str) -> None:
@@ -225,7 +230,7 @@ def read_index(spark, path: str) -> DataFrame:
     return files.mapInPandas(lines, "archive string, offset long, length long, type string, uri string, id string, digest string")
 
 
-READ = "archive string, offset long, length long, page_id long, payload_bytes long, payload_digest string, record_type string, refers_to long"
+READ = "archive string, offset long, length long, page_id string, payload_bytes long, payload_digest string, record_type string, refers_to string"
 
 
 def read_archives(spark, path: str) -> DataFrame:
@@ -251,13 +256,12 @@ def read_archives(spark, path: str) -> DataFrame:
                     payload = block[block.index(b"\r\n\r\n") + 4 :]
                     kind = head["warc-type"]
                     full = (len(payload), hashlib.sha1(payload).hexdigest()) if kind == "response" else (int(head["x-payload-bytes"]), head["warc-payload-digest"].removeprefix("sha1:"))
-                    page, refers = head.get("x-page-id"), head.get("x-refers-to-page")
-                    rows.append((name, begin, end - begin, int(page) if page else None, *full, kind, int(refers) if refers else None))
-                out = pd.DataFrame(rows, columns=["archive", "offset", "length", "page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"])
-                yield out.astype({"page_id": "Int64", "refers_to": "Int64"})
+                    rows.append((name, begin, end - begin, head.get("x-page-id"), *full, kind, head.get("x-refers-to-page")))
+                yield pd.DataFrame(rows, columns=["archive", "offset", "length", "page_id", "payload_bytes", "payload_digest", "record_type", "refers_to"])
 
     files = _files(spark, path).where("kind = 'warc'").select(F.col("archive").cast("string").alias("archive"), "content")
-    return files.mapInPandas(records, READ)
+    found = files.mapInPandas(records, READ)
+    return found.withColumn("page_id", F.col("page_id").cast("long")).withColumn("refers_to", F.col("refers_to").cast("long"))
 
 
 def _remove(spark, path: str) -> None:
@@ -270,7 +274,8 @@ def op6_warc(spark, sf_dir: str) -> DataFrame:
     """Write all pages to monolithic archives, normalise these, and read them back.
 
     Each record comes back with its place in the normalised archives; its entry in
-    the sidecar index must name the same place. Null html is an empty payload. An
+    the sidecar index must name the same place. Null html is an empty payload, a
+    null page_id comes back null, repeated rows are records of their own. An
     empty table writes no archive and gives no rows.
     """
     pages = spark.read.parquet(f"{sf_dir}/pages.parquet").select("page_id", "url", "html")
