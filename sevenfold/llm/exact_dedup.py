@@ -1,10 +1,12 @@
 """Exact deduplication with counting quotient filters.
 
 A fingerprint's high bits are its quotient, the low bits its remainder. Every
-partition builds filters for blocks of quotients: per quotient a run of sorted
-remainders, each with a counter. The filters of a block merge without loss by
-merging the sorted runs and adding the counters. Fingerprints with a count
-above one go to a comparison of the whole texts; all others are unique.
+partition builds filters for blocks of quotients: slots that hold the remainders
+of each quotient as a sorted run, with three bits of metadata a slot (quotient
+occupied, run ends here, slot goes on with a counter) and counters that take
+slots only where a fingerprint repeats. The filters of a block merge without
+loss by merging the sorted remainders and adding the counters. Fingerprints with
+a count above one go to a comparison of the whole texts; all others are unique.
 """
 
 from __future__ import annotations
@@ -18,59 +20,115 @@ from pyspark.sql import functions as F
 
 from sevenfold.llm.common import durable, small_side
 
-#: Quotient bits of a filter below its block bits.
-QUOTIENT_BITS = 10
+#: Share of a filter's slots that is filled at most.
+LOAD = 0.9
 #: Fingerprints that a partition holds before it emits filters.
 FLUSH_ROWS = 4_000_000
 #: Fingerprints aimed at for a block; sets the number of blocks by the count of rows.
 BLOCK_ROWS = 250_000
 
 
+def _pack_bits(values: np.ndarray, bits: int) -> bytes:
+    """The lowest ``bits`` of each value, one after another."""
+    if not bits or not len(values):
+        return b""
+    return np.packbits(np.unpackbits(values.astype(">u8").view(np.uint8).reshape(-1, 8), axis=1)[:, 64 - bits :]).tobytes()
+
+
+def _unpack_bits(data: np.ndarray, n: int, bits: int) -> np.ndarray:
+    if not bits or not n:
+        return np.zeros(n, dtype=np.uint64)
+    wide = np.zeros((n, 64), dtype=np.uint8)
+    wide[:, 64 - bits :] = np.unpackbits(data, count=n * bits).reshape(n, bits)
+    return np.packbits(wide, axis=1).view(">u8").ravel().astype(np.uint64)
+
+
 class CountingQuotientFilter:
-    """The filter of one block, as runs: occupancy per quotient, sorted remainders, counters."""
+    """The filter of one block of fingerprints, which share their highest ``block_bits`` bits.
+
+    There are 2**``q`` quotients. A run's first slot is its quotient's or, if an
+    earlier run is still there, the next free one; runs past the last quotient
+    use slots beyond it. A fingerprint takes a slot with its remainder; one that
+    occurs c > 1 times is followed by slots with the digits of c - 1 in base
+    2**r, r being the remainder's bits, marked as counters.
+    """
 
-    def __init__(self, block_bits: int, quotients: np.ndarray, remainders: np.ndarray, counts: np.ndarray):
-        self.block_bits, self.quotients, self.remainders, self.counts = block_bits, quotients, remainders, counts
+    def __init__(self, block_bits: int, q: int, remainders: np.ndarray, occupied: np.ndarray, ends: np.ndarray, counter: np.ndarray):
+        self.block_bits, self.q, self.r = block_bits, q, 64 - block_bits - q
+        self.remainders, self.occupied, self.ends, self.counter = remainders, occupied, ends, counter
 
     @classmethod
     def of(cls, fingerprints: np.ndarray, counts: np.ndarray, block_bits: int) -> CountingQuotientFilter:
-        """From sorted distinct fingerprints of one block."""
-        low = np.uint64(64 - block_bits - QUOTIENT_BITS)
-        quotients = ((fingerprints >> low) & np.uint64((1 << QUOTIENT_BITS) - 1)).astype(np.int64)
-        return cls(block_bits, quotients, fingerprints & np.uint64((1 << int(low)) - 1), counts)
+        """From sorted distinct fingerprints of one block and how often each occurs."""
+        digits = np.zeros(len(fingerprints), dtype=np.int64)
+        more = counts.astype(np.uint64) - np.uint64(1)
+        q = max(1, math.ceil(math.log2(max(1, len(fingerprints)) / LOAD)))
+        r = np.uint64(64 - block_bits - q)
+        left = more.copy()
+        while left.any():
+            digits[left > 0] += 1
+            left >>= r
+        low = fingerprints & np.uint64((1 << (64 - block_bits)) - 1)
+        quotient, remainder = (low >> r).astype(np.int64), low & np.uint64((1 << int(r)) - 1)
+        length = 1 + digits
+        before = np.cumsum(length) - length
+        # a run begins at its quotient, or where the runs before it have ended
+        slot = before + np.maximum.accumulate(quotient - before) if len(quotient) else before
+        size = max(1 << q, int(slot[-1] + length[-1]) if len(slot) else 0)
+        cells, counter, ends = np.zeros(size, dtype=np.uint64), np.zeros(size, dtype=bool), np.zeros(size, dtype=bool)
+        cells[slot] = remainder
+        for k in range(int(digits.max(initial=0))):
+            has = digits > k
+            at = slot[has] + 1 + k
+            cells[at] = (more[has] >> np.uint64(k * int(r))) & np.uint64((1 << int(r)) - 1)
+            counter[at] = True
+        last = np.flatnonzero(np.append(quotient[1:] != quotient[:-1], True)) if len(quotient) else np.zeros(0, dtype=np.int64)
+        ends[slot[last] + length[last] - 1] = True
+        occupied = np.zeros(1 << q, dtype=bool)
+        occupied[quotient] = True
+        return cls(block_bits, q, cells, occupied, ends, counter)
+
+    def entries(self) -> tuple[np.ndarray, np.ndarray]:
+        """The fingerprints below the block's bits, in order, and their counts."""
+        quotients, stop = np.flatnonzero(self.occupied), np.flatnonzero(self.ends)
+        begin = np.maximum(quotients, np.append(0, stop[:-1] + 1)) if len(stop) else stop
+        length = stop - begin + 1
+        run = np.repeat(np.arange(len(stop)), length)
+        slot = np.arange(len(run)) - np.repeat(np.cumsum(length) - length, length) + begin[run]
+        own = ~self.counter[slot]
+        first = slot[own]
+        keys = (quotients[run[own]].astype(np.uint64) << np.uint64(self.r)) | self.remainders[first]
+        counts = np.ones(len(first), dtype=np.uint64)
+        at = np.flatnonzero(~own)
+        entry = np.cumsum(own)[at] - 1
+        place = slot[at] - first[entry] - 1
+        np.add.at(counts, entry, self.remainders[slot[at]] << (place * self.r).astype(np.uint64))
+        return keys, counts
 
     def pack(self) -> bytes:
-        """Number of occupied quotients, those, their run lengths, then remainders in order, then counters.
-
-        A partition with few rows a block sends few bytes for each, however many blocks there are.
-        """
-        occupied, runs = np.unique(self.quotients, return_counts=True)
-        head = (np.array([len(occupied)], dtype="<u4"), occupied.astype("<u2"), runs.astype("<u4"))
-        return b"".join(x.tobytes() for x in (*head, self.remainders.astype("<u8"), self.counts.astype("<u8")))
+        """Quotient bits and slots, then the bits of occupied, run ends, counters and remainders; empty slots cost as much as full ones."""
+        n = len(self.remainders)
+        head = np.array([self.q, n], dtype="<u4").tobytes()
+        return head + b"".join(np.packbits(x).tobytes() for x in (self.occupied, self.ends, self.counter)) + _pack_bits(self.remainders, self.r)
 
     @classmethod
     def unpack(cls, data: bytes, block_bits: int) -> CountingQuotientFilter:
-        k = int(np.frombuffer(data, "<u4", 1)[0])
-        occupied, runs = np.frombuffer(data, "<u2", k, 4), np.frombuffer(data, "<u4", k, 4 + 2 * k)
-        at, n = 4 + 6 * k, int(runs.sum())
-        return cls(block_bits, np.repeat(occupied.astype(np.int64), runs), np.frombuffer(data, "<u8", n, at), np.frombuffer(data, "<u8", n, at + 8 * n))
-
-    def fingerprints(self, block: int) -> np.ndarray:
-        low = np.uint64(64 - self.block_bits - QUOTIENT_BITS)
-        return (np.uint64(block) << np.uint64(64 - self.block_bits)) | (self.quotients.astype(np.uint64) << low) | self.remainders
+        q, n = (int(x) for x in np.frombuffer(data, "<u4", 2))
+        raw, at, flags = np.frombuffer(data, np.uint8), 8, []
+        for size in (1 << q, n, n):
+            flags.append(np.unpackbits(raw[at : at + (size + 7) // 8], count=size).astype(bool))
+            at += (size + 7) // 8
+        return cls(block_bits, q, _unpack_bits(raw[at:], n, 64 - block_bits - q), *flags)
 
 
 def merge_filters(filters: list[CountingQuotientFilter]) -> CountingQuotientFilter:
-    """Merge by sorted (quotient, remainder); equal ones add their counters."""
-    low = np.uint64(64 - filters[0].block_bits - QUOTIENT_BITS)
-    keys = np.concatenate([(f.quotients.astype(np.uint64) << low) | f.remainders for f in filters])
-    counts = np.concatenate([f.counts for f in filters]).astype(np.uint64)
+    """Merge by sorted quotients and remainders; equal ones add their counters. Nothing is lost."""
+    found = [f.entries() for f in filters]
+    keys, counts = (np.concatenate(x) for x in zip(*found, strict=True))
     order = np.argsort(keys, kind="stable")
     keys, counts = keys[order], counts[order]
     first = np.flatnonzero(np.concatenate(([True], keys[1:] != keys[:-1]))) if len(keys) else np.zeros(0, dtype=np.int64)
-    total = np.add.reduceat(counts, first) if len(first) else counts
-    keys = keys[first]
-    return CountingQuotientFilter(filters[0].block_bits, (keys >> low).astype(np.int64), keys & np.uint64((1 << int(low)) - 1), total)
+    return CountingQuotientFilter.of(keys[first], np.add.reduceat(counts, first) if len(first) else counts, filters[0].block_bits)
 
 
 def repeated_fingerprints(prints: DataFrame, column: str = "fp") -> DataFrame:
@@ -99,9 +157,10 @@ def repeated_fingerprints(prints: DataFrame, column: str = "fp") -> DataFrame:
 
     def merged(batch: pd.DataFrame) -> pd.DataFrame:
         one = merge_filters([CountingQuotientFilter.unpack(x, bits) for x in batch["filter"]])
-        many = one.counts > 1
-        block = int(batch["block"].iloc[0])
-        return pd.DataFrame({"fp": one.fingerprints(block)[many].view(np.int64), "n": one.counts[many].astype(np.int64)})
+        keys, counts = one.entries()
+        many = counts > 1
+        high = np.uint64(int(batch["block"].iloc[0])) << np.uint64(64 - bits)
+        return pd.DataFrame({"fp": (keys[many] | high).view(np.int64), "n": counts[many].astype(np.int64)})
 
     return prints.select(column).mapInPandas(build, "block long, filter binary").groupBy("block").applyInPandas(merged, "fp long, n long")
 
@@ -158,7 +217,12 @@ FROM d JOIN g ON d.t = g.t
 
 
 def drop_exact_copies(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: of equal texts the row with the largest doc_id stays, whole."""
+    """Pipeline stage: of equal texts the row with the largest doc_id stays, whole.
+
+    Null counts as empty. Null doc_ids are the smallest; of rows that repeat id
+    and text one stays. Further columns pass through, whatever their names; an
+    empty table stays empty.
+    """
     groups = duplicate_groups(docs)
     value = F.coalesce(F.col("text"), F.lit(""))
     packed = docs.select(F.struct("*").alias("row"), F.col("doc_id").alias("id"), F.xxhash64(value).alias("fp"), F.sha2(value, 256).alias("sha"))
