@@ -2,9 +2,12 @@
 
 Every source serves its documents in a shuffled order. A document's virtual
 finish time is its source's cumulative size, itself included, over the source's
-target; a source that repeats its documents goes on in further rounds. Serving
-all sources by virtual finish time and stopping at the total budget is stopping
-at virtual time one, where every source has been served just its target.
+target; a source that repeats its documents goes on in further rounds. All
+copies are sorted by range of virtual finish time and taken in that order until
+the total budget is used up. That is at virtual time one, when every source has
+been served just its target; so the copy that a source then has in service
+gives the words up to its source's target, and what a document gives is the sum
+over its copies.
 """
 
 from __future__ import annotations
@@ -50,10 +53,10 @@ def shares(sizes: dict, weights: dict, budget: int, most_repeats: int = MOST_REP
     return target
 
 
-def plan_mix(docs: DataFrame, weights=cycle_weights, key: str = "doc_id", text: str = "text", source: str = "source", carry: tuple = ()) -> DataFrame:
-    """One row per document: id, source, size, source_size, target, taken, before, virtual_finish.
+def place_copies(docs: DataFrame, weights=cycle_weights, key: str = "doc_id", text: str = "text", source: str = "source", carry: tuple = ()) -> tuple[DataFrame, int]:
+    """Every document with its source's target and the words that its source serves before it; and the total budget.
 
-    ``weights`` maps the list of sources to their weights. The order within a
+    Checkpointed; ``rid`` numbers the rows, as ids may repeat. The order within a
     source is that of the ids' MD5, so reruns agree. Prefix sums go over blocks
     of that order first and within a block then, so a hot source spreads over
     many tasks. The sources are collected to the driver; one row each.
@@ -65,6 +68,7 @@ def plan_mix(docs: DataFrame, weights=cycle_weights, key: str = "doc_id", text:
         F.col(source).alias("src"),
         F.coalesce(F.regexp_count(F.col(text), F.lit(WORD)), F.lit(0)).cast("long").alias("size"),
         F.md5(ident.cast("binary")).alias("u"),
+        F.monotonically_increasing_id().alias("rid"),
         *carry,
     )
     light = durable(light)
@@ -87,26 +91,62 @@ def plan_mix(docs: DataFrame, weights=cycle_weights, key: str = "doc_id", text:
     placed = placed.join(right, placed["src"].eqNullSafe(right["b_src"]) & (placed["block"] == right["b_block"]))
     right = F.broadcast(table.withColumnRenamed("src", "t_src")) if len(sizes) <= 100_000 else table.withColumnRenamed("src", "t_src")
     placed = placed.join(right, placed["src"].eqNullSafe(right["t_src"])).withColumn("before", F.col("offset") + F.col("inner"))
-    turn = lambda k: F.greatest(F.lit(0), F.least("size", F.col("serve") - F.lit(k) * F.col("source_size") - F.col("before")))
-    taken = turn(0)
-    for k in range(1, MOST_REPEATS):
-        taken = taken + turn(k)
+    placed = durable(placed.drop("offset", "inner", "block", "b_src", "b_block", "t_src"))
+    return placed, sum(int(goals[s]) for s in sizes)
+
+
+def plan_mix(docs: DataFrame, weights=cycle_weights, key: str = "doc_id", text: str = "text", source: str = "source", carry: tuple = ()) -> DataFrame:
+    """One row per document: id, source, size, source_size, target, taken, before, virtual_finish, and ``carry``.
+
+    ``weights`` maps the list of sources to their weights. ``taken`` is the sum
+    over the document's copies in the sorted and truncated mix.
+    """
+    placed, budget = place_copies(docs, weights, key, text, source, carry)
+    partitions = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    taken = truncated(sorted_copies(placed, partitions), budget).groupBy("rid").agg(F.sum("words").alias("taken"))
     finish = F.when(F.col("target") > 0, (F.col("before") + F.col("size")) / F.col("target"))
-    extra = [c for c in light.columns if c not in ("id", "src", "size", "u", "block")]
-    return placed.select("id", "src", "size", "source_size", "target", taken.cast("long").alias("taken"), "before", finish.alias("virtual_finish"), *extra)
+    extra = [c for c in placed.columns if c not in ("rid", "id", "src", "size", "u", "source_size", "target", "serve", "before")]
+    whole = placed.join(taken, "rid", "left")
+    return whole.select("id", "src", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), "before", finish.alias("virtual_finish"), *extra)
 
 
-def mixed_order(plan: DataFrame, partitions: int) -> DataFrame:
-    """The mix itself: a row for each copy of a document, in order of virtual finish time.
+def sorted_copies(placed: DataFrame, partitions: int) -> DataFrame:
+    """A row for each copy of a document that its source begins to serve, sorted by range of virtual finish time.
 
-    ``words`` of the copy are taken; the copy at the budget may be cut. Sorted by
-    range, so the partitions in order are the mix in order.
+    ``words`` are those up to the source's target, so only a copy in service at
+    virtual time one has fewer than its size. Ties go by source, id, order and round.
     """
     rounds = F.explode(F.transform(F.sequence(F.lit(0), F.lit(MOST_REPEATS - 1)), lambda k: F.struct(k.alias("copy"), (F.col("before") + k * F.col("source_size")).alias("at"))))
-    copies = plan.where("taken > 0").withColumn("c", rounds).select("*", "c.copy", "c.at").drop("c")
-    words = F.least("size", F.floor("target") - F.col("at"))
-    copies = copies.withColumn("words", words).where("words > 0").withColumn("finish", (F.col("at") + F.col("size")) / F.col("target"))
-    return copies.repartitionByRange(partitions, "finish", "src", "id").sortWithinPartitions("finish", "src", "id").select("id", "src", "copy", "words", "finish")
+    copies = placed.where("size > 0").select("rid", "id", "src", "size", "target", "serve", rounds.alias("c")).select("*", "c.copy", "c.at").drop("c")
+    copies = copies.withColumn("words", F.least("size", F.col("serve") - F.col("at"))).where("words > 0")
+    copies = copies.withColumn("finish", (F.col("at") + F.col("size")) / F.col("target"))
+    order = ["finish", "src", "id", "at", "rid"]
+    return copies.repartitionByRange(partitions, *order).sortWithinPartitions(*order)
+
+
+def truncated(copies: DataFrame, budget: int) -> DataFrame:
+    """The sorted copies until their running total reaches the budget; the last one is cut to fit.
+
+    Totals go over the ranges first, then within each; a range is a partition of
+    the sort, so its own running total needs no further shuffle than its number.
+    """
+    copies = durable(copies.withColumn("range", F.spark_partition_id()))
+    ranges = copies.groupBy("range").agg(F.sum("words").alias("range_words"))
+    earlier = Window.orderBy("range").rowsBetween(Window.unboundedPreceding, -1)  # one row a range
+    ranges = ranges.select(F.col("range").alias("r"), F.coalesce(F.sum("range_words").over(earlier), F.lit(0)).alias("earlier"))
+    within = Window.partitionBy("range").orderBy("finish", "src", "id", "at", "rid").rowsBetween(Window.unboundedPreceding, -1)
+    running = copies.withColumn("inner", F.coalesce(F.sum("words").over(within), F.lit(0))).join(F.broadcast(ranges), F.col("range") == F.col("r"))
+    left = F.lit(budget) - F.col("earlier") - F.col("inner")
+    return running.withColumn("words", F.least("words", left)).where("words > 0").drop("r", "earlier", "inner")
+
+
+def mixed_order(docs: DataFrame, partitions: int, **options) -> DataFrame:
+    """The mix itself: (id, src, copy, words, finish) of each copy taken, in order of virtual finish time.
+
+    The partitions in order are the mix in order.
+    """
+    placed, budget = place_copies(docs, **options)
+    return truncated(sorted_copies(placed, partitions), budget).select("id", "src", "copy", "words", "finish", "range").repartitionByRange(partitions, "finish", "src", "id").sortWithinPartitions("finish", "src", "id").drop("range")
 
 
 def op7_mixing(spark, sf_dir: str) -> DataFrame:
@@ -114,7 +154,8 @@ def op7_mixing(spark, sf_dir: str) -> DataFrame:
 
     Null text has size 0; null is a source of its own, the last. What a document
     gives is the sum over its copies in the mix, the last copy of a source being
-    cut where the source's target ends. Repeated rows are documents of their own.
+    cut where the source's target ends. Repeated rows are documents of their own,
+    and so are rows with a null id; an empty table gives no rows.
     """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text", "source")
     return plan_mix(docs).select(F.col("id").alias("doc_id"), "size", "source_size", "target", "taken", "virtual_finish")
@@ -155,7 +196,8 @@ FROM c JOIN g ON c.source IS NOT DISTINCT FROM g.source
 def take_mix(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Pipeline stage: the documents in the mix, with ``taken`` words and ``copies`` begun.
 
-    Rows that repeat id, source and text are told apart by a row number, so each
+    Columns of those two names that the documents bring are replaced. Null and
+    empty texts have no words and so no place in the mix. Rows that repeat id, source and text are told apart by a row number, so each
     takes what the plan gives to one of them.
     """
     mark = F.xxhash64(F.coalesce("text", F.lit(""))).alias("h")
