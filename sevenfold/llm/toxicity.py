@@ -291,7 +291,12 @@ def op2_toxicity(spark, sf_dir: str) -> DataFrame:
 
 
 def reject_toxic(spark, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pipeline stage: documents predicted toxic go, the others keep their columns."""
+    """Pipeline stage: documents predicted toxic go, the others keep their columns.
+
+    Null and empty texts have no evidence and stay, and without labels of both
+    classes every document does. Repeated rows share their fate. Further columns
+    pass through, whatever their names; an empty table stays empty.
+    """
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet").select("doc_id", "toxic")
     model = fit(docs, labels.where(remainder_of_crc("doc_id", 5) != 0))
     return docs.where(scorer(spark, model)(F.col("text"))["predicted"] == 0)
