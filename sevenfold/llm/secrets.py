@@ -136,8 +136,9 @@ def _lean(clause: frozenset[str]) -> tuple[str, ...]:
 # -------------------------------------------------------------------------- index
 def trigram_index(texts: DataFrame, trigrams: list[str]) -> DataFrame:
     """(block, postings map trigram -> sorted keys) over all texts, columns ``key`` and ``t``."""
-    low = F.lower("t")
-    present = F.array_compact(F.array(*(F.when(F.contains(low, F.lit(g)), F.lit(g)) for g in trigrams)))
+    found = lambda low: F.array_compact(F.array(*(F.when(F.contains(low, F.lit(g)), F.lit(g)) for g in trigrams)))
+    # bound as a variable, the lower-cased text is made once and not once for each trigram
+    present = F.element_at(F.transform(F.array(F.lower("t")), found), 1)
     blocks = max(32, math.ceil(texts.count() / BLOCK_KEYS))
     rows = texts.select("key", F.explode(present).alias("trigram")).withColumn("block", F.pmod("key", F.lit(blocks)))
     lists = rows.groupBy("block", "trigram").agg(F.sort_array(F.collect_set("key")).alias("keys"))
@@ -225,7 +226,11 @@ def _joined(kinds: list[str]) -> Column:
 
 
 def op10_secrets(spark, sf_dir: str) -> DataFrame:
-    """Secrets in every document: counts by base kind, digest of the base spans, all spans."""
+    """Secrets in every document: counts by base kind, digest of the base spans, all spans.
+
+    Null and empty texts have none; repeated rows and null ids each come back, and
+    an empty table gives no rows. Whole texts are searched, however long.
+    """
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet").select("doc_id", "text")
     found = scan(docs)
     base = [r.kind for r in RULES[:BASE]]
