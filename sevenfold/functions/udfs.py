@@ -36,7 +36,20 @@ def schedule_steps():
     return ScheduleSteps
 
 
+def quadrant_of():
+    """Table function: the quadrant of a tile in a grid of ``side`` tiles, and its place there."""
+
+    @F.udtf(returnType="quadrant int, row int, col int")
+    class QuadrantOf:
+        def eval(self, bi: int, bj: int, side: int):
+            half = side // 2
+            yield 2 * (bi // half) + bj // half, bi % half, bj % half
+
+    return QuadrantOf
+
+
 def register(spark: SparkSession) -> None:
     """Make the functions known to SQL."""
     spark.udtf.register("schedule_steps", schedule_steps())
+    spark.udtf.register("quadrant_of", quadrant_of())
     spark.udf.register("frobenius", frobenius_udaf())

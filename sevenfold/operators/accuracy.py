@@ -1,58 +1,92 @@
-"""Error measures of a product, diagonal scaling, and checks of exactness. Inputs are cells."""
+"""Error measures of a product against an exact one, diagonal scaling, and checks of exactness. Inputs are cells.
+
+Doubles are integers times powers of two; times a power of two that makes them
+integers they are exact decimals, and so are their products and all bounds. So
+what is measured is the error of the product alone.
+"""
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sevenfold.operators.hybrid import sql_multiply
+from sevenfold.operators.tiles import EXACT
 from sevenfold.plans.schemes import scheme_of
 
-EPS = 2.0**-53
-
+#: Bits of a double's mantissa: the unit of rounding is 2**-BITS.
+BITS = 53
 
-def _absolute(x: DataFrame) -> DataFrame:
-    return x.select("i", "j", F.abs("v").alias("v"))
 
+def bound_factor(n: int) -> int:
+    """The polynomial f(n) of the bounds that allow one."""
+    return 8 * n
 
-def _difference(exact: DataFrame, got: DataFrame) -> DataFrame:
-    """Absolute difference of every cell that either side has."""
-    right = got.select("i", "j", F.col("v").alias("w"))
-    return exact.join(right, ["i", "j"], "full_outer").select("i", "j", F.abs(F.coalesce("v", F.lit(0)) - F.coalesce("w", F.lit(0))).alias("d"))
 
+def to_integers(x: DataFrame, shift: int) -> DataFrame:
+    """Cells times 2**shift as decimals; raises if that leaves a fraction. Doubles are cut to 30-bit digits, each of them exact."""
+    whole = F.col("v").cast("double") * F.lit(2.0**shift)
+    high = F.floor(whole / 2.0**60)
+    rest = whole - high * F.lit(2.0**60)
+    middle = F.floor(rest / 2.0**30)
+    low = rest - middle * F.lit(2.0**30)
+    unit = F.lit(1 << 30).cast("decimal(10,0)")
+    up = lambda digits, more: ((digits * unit).cast(EXACT) + more.cast("long").cast("decimal(19,0)")).cast(EXACT)
+    value = up(up(high.cast("long").cast(EXACT), middle), low)
+    fits = F.when(low == F.floor(low), value).otherwise(F.raise_error(F.lit("a cell is not a multiple of the unit")).cast(EXACT))
+    return x.select("i", "j", fits.alias("v"))
 
-def max_norm(x: DataFrame):
-    return x.agg(F.coalesce(F.max(F.abs("v")), F.lit(0)).alias("v"))
 
+def exact_product(x: DataFrame, y: DataFrame) -> DataFrame:
+    """Cells of the product of integer cells, in decimals of 38 digits; raises beyond."""
+    term = (F.col("v").cast("decimal(19,0)") * F.col("w").cast("decimal(19,0)")).cast(EXACT)
+    right = y.select(F.col("i").alias("k"), "j", F.col("v").alias("w"))
+    out = x.select("i", F.col("j").alias("k"), "v").join(right, "k").groupBy("i", "j").agg(F.sum(term).cast(EXACT).alias("v"))
+    return out.where("v <> 0")
 
-def componentwise_error(exact: DataFrame, got: DataFrame, a: DataFrame, b: DataFrame, n: int) -> DataFrame:
-    """(measure, n, value, bound, ok): largest |C - C'| over n * eps * (|A| |B|), cell by cell.
-
-    Guaranteed up to about 1 for classical products; fast ones may exceed it.
-    """
-    bound = sql_multiply(_absolute(a), _absolute(b)).select("i", "j", (F.col("v") * n * EPS).alias("bound"))
-    ratio = F.when(F.col("d") == 0, 0.0).otherwise(F.col("d") / F.coalesce("bound", F.lit(0.0)))
-    rows = _difference(exact, got).join(bound, ["i", "j"], "left").select(ratio.alias("r"))
-    value = F.coalesce(F.max("r"), F.lit(0.0))
-    return rows.agg(F.lit("componentwise").alias("measure"), F.lit(n).alias("n"), value.alias("value"), F.lit(1.0).alias("bound"), (value <= 1.0).alias("ok"))
 
+def _absolute(x: DataFrame) -> DataFrame:
+    return x.select("i", "j", F.abs("v").alias("v"))
 
-def normwise_error(exact: DataFrame, got: DataFrame, a: DataFrame, b: DataFrame, n: int, growth: float) -> DataFrame:
-    """(measure, n, value, bound, ok): largest |C - C'| over eps * ||A|| * ||B|| with max-abs norms, against ``growth``."""
-    d = _difference(exact, got).agg(F.coalesce(F.max("d"), F.lit(0.0)).alias("d"))
-    norms = max_norm(a).withColumnRenamed("v", "x").crossJoin(max_norm(b).withColumnRenamed("v", "y"))  # one row each
-    value = F.when(F.col("d") == 0, 0.0).otherwise(F.col("d") / (EPS * F.col("x") * F.col("y")))
-    return d.crossJoin(norms).select(F.lit("normwise").alias("measure"), F.lit(n).alias("n"), value.alias("value"), F.lit(float(growth)).alias("bound"), (value <= growth).alias("ok"))
 
+def _error(exact: DataFrame, got: DataFrame) -> DataFrame:
+    """(i, j, e): absolute difference of every cell that either side has."""
+    right = got.select("i", "j", F.col("v").alias("w"))
+    zero = F.lit(0).cast(EXACT)
+    return exact.join(right, ["i", "j"], "full_outer").select("i", "j", F.abs(F.coalesce("v", zero) - F.coalesce("w", zero)).cast("double").alias("e"))
 
-def growth_bound(n: int, levels: int, scheme="s7a15") -> float:
-    """A sound f(n) of the normwise bound for this many fast levels over classical leaves."""
-    s = scheme_of(scheme)
-    leaf = n / s.n0**levels
-    return (leaf**2 + 6 * leaf) * float(s.growth()) ** levels + n * 8 * levels
 
+def judge(measure: str, exact: DataFrame, got: DataFrame, x: DataFrame, y: DataFrame, n: int) -> DataFrame:
+    """(measure, n, value, holds): the largest error over the bound's unit, and whether the bound holds.
 
-def _power_of_two(x):
+    All inputs are integer cells as by ``to_integers``. The bounds, in units of
+    the rounding: componentwise, n |A||B| cell by cell; normwise, f(n) times the
+    largest cells of A and B; outer, f(n) times the norms of A's row and B's
+    column; inner, f(n) times the largest cell of |A||B|. Integers beyond 2**53
+    are compared as doubles, which moves a ratio by a few units in the last place.
+    """
+    e = _error(exact, got)
+    top = F.max(F.abs("v")).cast("double")
+    if measure == "componentwise":
+        unit = exact_product(_absolute(x), _absolute(y)).select("i", "j", F.col("v").cast("double").alias("u"))
+        rows, factor = e.join(unit, ["i", "j"], "left"), n
+    elif measure == "outer":
+        rows_of, cols_of = x.groupBy("i").agg(top.alias("r")), y.groupBy("j").agg(top.alias("c"))
+        rows, factor = e.join(rows_of, "i", "left").join(cols_of, "j", "left").withColumn("u", F.col("r") * F.col("c")), bound_factor(n)
+    elif measure in ("normwise", "inner"):
+        if measure == "normwise":
+            unit = (x.agg(top).first()[0] or 0.0) * (y.agg(top).first()[0] or 0.0)
+        else:
+            unit = exact_product(_absolute(x), _absolute(y)).agg(top).first()[0] or 0.0
+        rows, factor = e.withColumn("u", F.lit(unit)), bound_factor(n)
+    else:
+        raise ValueError(measure)
+    ratio = F.when(F.col("e") == 0, 0.0).when(F.coalesce("u", F.lit(0.0)) == 0, float("inf")).otherwise(F.col("e") * 2.0**BITS / F.col("u"))
+    value = F.coalesce(F.max(ratio), F.lit(0.0))
+    return rows.agg(F.lit(measure).alias("measure"), F.lit(n).alias("n"), value.alias("value"), (value <= factor).alias("holds"))
+
+
+def _power_of_two(x: Column) -> Column:
     return F.pow(F.lit(2.0), F.round(F.log2(x)))
 
 
@@ -93,9 +127,10 @@ def scaled_multiply(a: DataFrame, b: DataFrame, mode: str, multiply) -> DataFram
 def overflow_bound(a: DataFrame, b: DataFrame, n: int, scheme="s7a15", levels: int = 0) -> DataFrame:
     """(bound, exact): no intermediate of the integer product exceeds the bound; exact below 2**63."""
     growth = scheme_of(scheme).growth() ** levels
-    norms = max_norm(a).withColumnRenamed("v", "x").crossJoin(max_norm(b).withColumnRenamed("v", "y"))
-    bound = F.col("x").cast("decimal(38,0)") * F.col("y").cast("decimal(19,0)") * F.lit(n) * F.lit(growth)
-    return norms.select(bound.cast("double").alias("bound")).select("bound", (F.col("bound") < 2.0**63).alias("exact"))
+    size = lambda x, side: x.select(F.lit(side).alias("side"), F.abs("v").cast("double").alias("v"))
+    both = size(a, "a").unionByName(size(b, "b"))
+    top = lambda side: F.coalesce(F.max(F.when(F.col("side") == side, F.col("v"))), F.lit(0.0))
+    return both.agg((top("a") * top("b") * n * growth).alias("bound")).select("bound", (F.col("bound") < 2.0**63).alias("exact"))
 
 
 def random_check(a: DataFrame, b: DataFrame, c: DataFrame, seed: int = 1) -> DataFrame:

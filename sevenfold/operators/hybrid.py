@@ -3,8 +3,10 @@
 Tiles carry a ``path``: the subproblem that they belong to, its digits in base q.
 A tile's place, the residues of its row and column, stays the same on every
 level, so with tiles dealt by it every level's sums are local: matching
-quadrants lie in one partition. A wide level fans out all q subproblems in one plan; a serial level
-runs them one after another, adding each product to a durable accumulator.
+quadrants lie in one partition. A wide level fans out all q subproblems in one
+plan; a serial level runs them one after another, adding each product to a
+durable accumulator. Its operands are durable too, so they are made once and
+not once for each subproblem, and what a level has used up is deleted.
 """
 
 from __future__ import annotations
@@ -18,19 +20,23 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from sevenfold.operators.leaf import LeafSpec, dense_products, tile_products
-from sevenfold.operators.tiles import TileMatrix, cells_to_tiles, durable, signed_sum, sum_tiles, tiles_to_cells
-from sevenfold.plans.planner import plan_budgeted
+from sevenfold.operators.tiles import EXACT, TileMatrix, as_cells, as_numpy, cells_to_tiles, durable, largest, refuse_not_finite, release, sum_of, sum_tiles, tiles_to_cells
+from sevenfold.plans.planner import plan_budgeted, plan_greedy
 from sevenfold.plans.layout import digits_of
 from sevenfold.plans.schemes import Scheme, Stages, scheme_of
 
 
-def _residues(tiles: int, tasks: int) -> int:
-    """Side of the cyclic grid: the largest divisor of ``tiles`` that needs no more than 16 places a task.
+def _residues(tiles: int, tasks: int) -> tuple[int, int]:
+    """Side of the cyclic grid for a leaf of ``tiles`` a side, and the leaf's side once padded to a multiple of it.
 
-    The places are what the tasks are dealt, so they have to grow with them.
+    The places are what the tasks are dealt, so they grow with them, up to 16 a
+    task. Absent tiles pad at no cost, so any number of tiles will do: the side
+    is the largest that pads by a sixteenth at most.
     """
     most = max(14, math.isqrt(16 * tasks))
-    return max(d for d in range(1, min(tiles, most) + 1) if tiles % d == 0)
+    up = lambda d: -(-tiles // d) * d
+    side = max(d for d in range(1, min(tiles, most) + 1) if 16 * (up(d) - tiles) <= tiles)
+    return side, up(side)
 
 
 #: Beyond this many operands, or values a tile, sums run on Arrow batches instead of native functions.
@@ -38,10 +44,15 @@ NATIVE_SLOTS, NATIVE_VALUES = 8, 4096
 
 
 def _added(terms: list[tuple[int, np.ndarray]]) -> np.ndarray | None:
-    """Signed sum of the tiles that are there."""
+    """Signed sum of the tiles that are there. Raises where 64-bit integers might wrap."""
     if not terms:
         return None
     c, total = terms[0]
+    if total.dtype == np.int64 and sum(abs(c) * largest(x) for c, x in terms) >= 1 << 63:
+        whole = sum(c * x.astype(object) for c, x in terms)
+        if largest(whole) >= 1 << 63:
+            raise OverflowError(f"a sum of tiles doesn't fit 64 bits; use cells of {EXACT}")
+        return whole.astype(np.int64)
     total = total if c == 1 else c * total
     for c, x in terms[1:]:
         total = total + x if c == 1 else total - x if c == -1 else total + c * x
@@ -65,40 +76,43 @@ def combine(df: DataFrame, keys: list[str], slot: Column, slots: int, stages: St
             needed.add(x)
             todo += [y for _, y in terms_of[x]]
     steps = [(name, terms) for name, terms in stages.steps if name in needed]
-    if slots > NATIVE_SLOTS or len(stages.outputs) > NATIVE_SLOTS or tile * tile > NATIVE_VALUES:
+    if slots > NATIVE_SLOTS or len(stages.outputs) > NATIVE_SLOTS or tile * tile > NATIVE_VALUES or dtype == EXACT:
 
         def sums(batches):
             for batch in batches:
                 tiles = [batch.column(f"s{k}") for k in range(slots)]
                 for row in range(batch.num_rows):
-                    known = {str(k): x[row].values.to_numpy() if x[row].is_valid else None for k, x in enumerate(tiles)}
+                    known = {str(k): as_numpy(x[row].values, dtype) if x[row].is_valid else None for k, x in enumerate(tiles)}
                     for name, terms in steps:
                         known[name] = _added([(c, known[x]) for c, x in terms if known[x] is not None])
                     out = [(k, known[x]) for k, x in numbered if known[x] is not None]
                     if out:
-                        flat = pa.array(np.concatenate([v for _, v in out]))
+                        flat = pa.array(np.concatenate([as_cells(v, dtype) for _, v in out]), pa.decimal128(38, 0) if dtype == EXACT else None)
                         vals = pa.ListArray.from_arrays(np.arange(len(out) + 1, dtype=np.int32) * len(out[0][1]), flat)
                         same = [pa.repeat(batch.column(name)[row], len(out)) for name in keys]
                         yield pa.RecordBatch.from_arrays([*same, pa.array([k for k, _ in out], pa.int32()), vals], [*keys, "r", "vals"])
 
         kinds = dict(gathered.dtypes)
         return gathered.mapInArrow(sums, ", ".join(f"{k} {kinds[k]}" for k in keys) + f", r int, vals array<{dtype}>")
-    column = lambda x: F.col(f"v_{x}" if x in terms_of else f"s{x}")
+    # steps whose operands are there go into one projection, so that the plan stays small
+    at, depth = {str(k): f"s{k}" for k in range(slots)}, {str(k): 0 for k in range(slots)}
     for name, terms in steps:
-        gathered = gathered.withColumn(f"v_{name}", signed_sum([(c, column(x)) for c, x in terms], dtype))
-    out = F.explode(F.array(*(F.struct(F.lit(k).alias("r"), column(x).alias("vals")) for k, x in numbered)))
-    return gathered.select(*keys, out.alias("o")).select(*keys, "o.r", "o.vals").where("vals is not null")
+        depth[name], at[name] = 1 + max(depth[x] for _, x in terms), f"v_{name}"
+    for level in sorted({depth[name] for name, _ in steps}):
+        gathered = gathered.select("*", *(F.expr(sum_of([(c, at[x]) for c, x in terms])).alias(at[name]) for name, terms in steps if depth[name] == level))
+    made = ", ".join(f"named_struct('r', {k}, 'vals', {at[x]})" for k, x in numbered)
+    return gathered.select(*keys, F.expr(f"inline(array({made}))")).where("vals is not null")
 
 
 class _Run:
     def __init__(self, a: TileMatrix, b: TileMatrix, depth: int, scheme: Scheme, leaf: LeafSpec, c: int, exchange: str, leaf_rule=None):
         self.s, self.leaf, self.c, self.exchange, self.tile, self.dtype = scheme, leaf, c, exchange, a.tile, a.dtype
         unit = scheme.n0**depth
-        up = lambda x: -(-x // unit) * unit
-        self.shape = (up(a.grid[0]), up(a.grid[1]), up(b.grid[1]))
         self.leaf_rule = leaf_rule
         self.tasks = max(int(a.df.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
-        self.res = tuple(_residues(x // unit, self.tasks) for x in self.shape)
+        sides = [_residues(-(-x // unit), self.tasks) for x in (a.grid[0], a.grid[1], b.grid[1])]
+        self.res = tuple(side for side, _ in sides)
+        self.shape = tuple(padded * unit for _, padded in sides)
 
     def lay(self, df: DataFrame, rows: int, cols: int) -> DataFrame:
         """Deal the tiles by their residues, places to tasks in turn."""
@@ -149,19 +163,24 @@ class _Run:
             return self.up(q, m, n)
         total = None
         n0, w = self.s.n0, self.s.tables[2]
+        a, b = durable(a), durable(b)  # else each subproblem would make them again
         for r in range(self.s.q):
             q = self.multiply(self.down(a, self.s.left, m, k, r), self.down(b, self.s.right, k, n, r), schedule[1:], inner)
             parts = F.array(*(F.struct(F.lit(x).alias("x"), F.lit(int(w[x, r])).alias("c")) for x in range(n0 * n0) if w[x, r]))
-            q = q.withColumn("path", F.floor(F.col("path") / self.s.q)).withColumn("p", F.explode(parts))
-            q = q.select(
+            added = q.withColumn("path", F.floor(F.col("path") / self.s.q)).withColumn("p", F.explode(parts))
+            added = added.select(
                 "path",
                 (F.col("bi") + inner[0] * F.floor(F.col("p.x") / n0)).cast("int").alias("bi"),
                 (F.col("bj") + inner[2] * (F.col("p.x") % n0)).cast("int").alias("bj"),
                 "place",
-                F.transform("vals", lambda v: v * F.col("p.c")).alias("vals"),
+                F.transform("vals", lambda v: (v * F.col("p.c")).cast(self.dtype)).alias("vals"),
             )
-            total = q if total is None else sum_tiles(total.unionByName(q), ["path", "bi", "bj", "place"])
-            total = durable(total)
+            before, total = total, durable(added if total is None else sum_tiles(total.unionByName(added), ["path", "bi", "bj", "place"]))
+            release(before)
+            if schedule[1:2] == "S":
+                release(q)
+        release(a)
+        release(b)
         return total
 
 
@@ -171,12 +190,17 @@ def hybrid(a: TileMatrix, b: TileMatrix, schedule: str = "W", scheme="s7a15", le
     Any shapes: sides are padded with absent tiles. ``exchange`` fused moves the
     subproblems once, after all wide levels; stepwise once per level, as on
     machines where memory grows with the levels. ``c`` workers share a leaf.
+    Integers are exact or the run raises, also where only a sum on the way
+    doesn't fit; decimals then do. Doubles must be finite for a fast scheme.
     """
     if a.tile != b.tile or a.n_cols != b.n_rows or a.dtype != b.dtype:
         raise ValueError("the matrices don't match")
     if set(schedule) - {"W", "S"}:
         raise ValueError(f"a schedule has letters W and S, not {schedule!r}")
-    run = _Run(a, b, len(schedule), scheme_of(scheme), leaf, c, exchange, leaf_rule)
+    kind = scheme_of(scheme)
+    if (schedule and kind.q < kind.n0**3) or leaf.levels:
+        a, b = refuse_not_finite(a), refuse_not_finite(b)
+    run = _Run(a, b, len(schedule), kind, leaf, c, exchange, leaf_rule)
     m, k, n = run.res
     x = run.lay(a.df.withColumn("path", F.lit(0).cast("long")), m, k)
     y = run.lay(b.df.withColumn("path", F.lit(0).cast("long")), k, n)
@@ -205,6 +229,12 @@ def budgeted(a: TileMatrix, b: TileMatrix, workers: int, memory: float, depth: s
     return hybrid(a, b, plan_budgeted(n, workers, memory, depth)["schedule"], **options)
 
 
+def greedy(a: TileMatrix, b: TileMatrix, workers: int, memory: float, **options) -> TileMatrix:
+    """Level by level: wide where ``memory`` words per logical worker allow it, else serial."""
+    n = max(a.n_rows, a.n_cols, b.n_cols)
+    return hybrid(a, b, plan_greedy(n, workers, memory), **options)
+
+
 def sql_multiply(x: DataFrame, y: DataFrame, hint: str | None = None) -> DataFrame:
     """Cells times cells: join on the inner key, sum. The plain relational product."""
     right = y.select(F.col("i").alias("k"), "j", F.col("v").alias("w"))
@@ -241,6 +271,44 @@ def peel(x: DataFrame, y: DataFrame, n: tuple[int, int, int], tile: int, schedul
     return total.groupBy("i", "j").agg(F.sum("v").alias("v")).where("v <> 0")
 
 
+def peel_levels(a: TileMatrix, b: TileMatrix, levels: int = 1, scheme="s7a15") -> TileMatrix:
+    """Wide levels on any sides: each level peels what doesn't split off the remainder of its own sides.
+
+    A side that isn't even in tiles loses its last ones on that level; the even core
+    goes on, and the peeled rows and columns are multiplied by joins over tiles,
+    for all subproblems of the level at once. Nothing is padded but edge tiles.
+    """
+    s = scheme_of(scheme)
+    run = _Run(a, b, 0, s, LeafSpec(), 1, "fused")
+    a, b = refuse_not_finite(a), refuse_not_finite(b)
+    keyed = lambda m: m.df.select(F.lit(0).cast("long").alias("path"), "bi", "bj", F.lit(0).alias("place"), "vals")
+    border = lambda x, y: tile_products(x, y, ["path"], a.tile, a.dtype)
+
+    def level(x, y, shape, left):
+        m, k, n = shape
+        if not left or min(shape) < s.n0:
+            return border(x, y)
+        em, ek, en = (v // s.n0 * s.n0 for v in shape)
+        top, low = x.where(F.col("bi") < em), x.where(F.col("bi") >= em)
+        near, far = y.where(F.col("bj") < en), y.where(F.col("bj") >= en)
+        core = tuple(v // s.n0 for v in (em, ek, en))
+        q = level(run.down(top.where(F.col("bj") < ek), s.left, em, ek), run.down(near.where(F.col("bi") < ek), s.right, ek, en), core, left - 1)
+        parts = [run.up(q.withColumn("place", F.lit(0)), em, en).select("path", "bi", "bj", "vals")]
+        if ek < k:
+            parts.append(border(top.where(F.col("bj") >= ek), near.where(F.col("bi") >= ek)))
+        if em < m:
+            parts.append(border(low, y))
+        if en < n:
+            parts.append(border(top, far))
+        total = parts[0]
+        for part in parts[1:]:
+            total = total.unionByName(part)
+        return total if len(parts) == 1 else sum_tiles(total, ["path", "bi", "bj"])
+
+    out = level(keyed(a), keyed(b), (a.grid[0], a.grid[1], b.grid[1]), levels)
+    return replace(a, df=out.select("bi", "bj", "vals"), n_cols=b.n_cols)
+
+
 def power(x: DataFrame, exponent: int) -> DataFrame:
     """Cells of a square matrix's power by repeated squaring, durable at each step."""
     base, out = durable(x), None

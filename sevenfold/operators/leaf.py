@@ -9,7 +9,7 @@ import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from sevenfold.operators.tiles import sum_tiles
+from sevenfold.operators.tiles import as_cells, as_numpy, largest, not_a_number_kept, numpy_kind, sum_tiles
 from sevenfold.plans.schemes import Scheme, Stages, scheme_of
 
 
@@ -35,23 +35,28 @@ def _combine(stages: Stages, inputs: list[np.ndarray]) -> list[np.ndarray]:
 
 
 def classical_product(a: np.ndarray, b: np.ndarray) -> np.ndarray:
-    """Exact for integers: by floating point where every sum is below 2**53."""
+    """Exact for integers: by floating point where every sum is below 2**53. Raises where 64 bits may not do."""
     if a.dtype != np.int64:
         return a @ b
-    bound = int(np.abs(a).max(initial=0)) * int(np.abs(b).max(initial=0)) * a.shape[1]
+    bound = largest(a) * largest(b) * a.shape[1]
     if bound < 1 << 53:
         return (a.astype(np.float64) @ b.astype(np.float64)).astype(np.int64)
     if bound >= 1 << 63:
-        raise OverflowError("the product may not fit 64 bits")
+        raise OverflowError(f"the product may not fit 64 bits; use cells of {'decimal(38,0)'}")
     return a @ b
 
 
 def seq_fast(a: np.ndarray, b: np.ndarray, levels: int, scheme: Scheme | str = "s7a15", cutoff: int = 1) -> np.ndarray:
-    """Recursive fast product; classical at the cutoff or where a side doesn't split."""
+    """Recursive fast product; classical at the cutoff or where a side doesn't split.
+
+    Integers are classical too where the sums of the levels might not fit 64 bits.
+    """
     s = scheme_of(scheme)
     n0 = s.n0
     if not levels or min(*a.shape, b.shape[1]) <= cutoff or any(x % n0 for x in (*a.shape, b.shape[1])):
         return classical_product(a, b)
+    if a.dtype == np.int64 and s.growth() ** levels * largest(a) * largest(b) * a.shape[1] >= 1 << 63:
+        return classical_product(a, b)
 
     def blocks(x):
         r, c = x.shape[0] // n0, x.shape[1] // n0
@@ -62,12 +67,11 @@ def seq_fast(a: np.ndarray, b: np.ndarray, levels: int, scheme: Scheme | str = "
     return np.block([out[i * n0 : (i + 1) * n0] for i in range(n0)])
 
 
-def _dense(rows: pd.DataFrame, row: str, col: str, row_ids: np.ndarray, col_ids: np.ndarray, t: int) -> np.ndarray:
-    kind = np.asarray(rows["vals"].iloc[0]).dtype
-    out = np.zeros((len(row_ids), t, len(col_ids), t), dtype=kind)
+def _dense(rows: pd.DataFrame, row: str, col: str, row_ids: np.ndarray, col_ids: np.ndarray, t: int, dtype: str) -> np.ndarray:
+    out = np.zeros((len(row_ids), t, len(col_ids), t), dtype=numpy_kind(dtype))
     r, c = np.searchsorted(row_ids, rows[row].to_numpy()), np.searchsorted(col_ids, rows[col].to_numpy())
     for x, y, v in zip(r, c, rows["vals"], strict=True):
-        out[x, :, y, :] = np.asarray(v).reshape(t, t)
+        out[x, :, y, :] = as_numpy(v, dtype).reshape(t, t)
     return out.reshape(len(row_ids) * t, len(col_ids) * t)
 
 
@@ -79,7 +83,7 @@ def dense_products(a: DataFrame, b: DataFrame, keys: list[str], tile: int, dtype
     or three times the work of others. ``per`` gives the tile rows, inner tiles and tile columns that a full key
     has, so that absent tiles keep the fast levels even.
     """
-    kind = np.int64 if dtype == "bigint" else np.float64
+    kind = numpy_kind(dtype)
 
     def product(x: pd.DataFrame, y: pd.DataFrame) -> pd.DataFrame:
         if not len(x) or not len(y):
@@ -92,11 +96,11 @@ def dense_products(a: DataFrame, b: DataFrame, keys: list[str], tile: int, dtype
         held = 8 * tile * tile * (len(rows) * len(inner) + len(inner) * len(cols) + len(rows) * len(cols))
         if held > leaf.most_bytes:
             raise MemoryError(f"a leaf takes {held} bytes; use more levels or LeafSpec(kind='tiles')")
-        p = _dense(x, "bi", "bj", rows, inner, tile)
-        q = _dense(y, "bi", "bj", inner, cols, tile)
+        p = _dense(x, "bi", "bj", rows, inner, tile, dtype)
+        q = _dense(y, "bi", "bj", inner, cols, tile, dtype)
         c = seq_fast(p, q, leaf.levels, leaf.scheme, leaf.cutoff).astype(kind)
         cut = c.reshape(len(rows), tile, len(cols), tile)
-        out = [(i, j, cut[a, :, b, :].ravel()) for a, i in enumerate(rows) for b, j in enumerate(cols)]
+        out = [(i, j, as_cells(cut[a, :, b, :].ravel(), dtype)) for a, i in enumerate(rows) for b, j in enumerate(cols)]
         frame = pd.DataFrame(out, columns=["bi", "bj", "vals"])
         for name in keys:
             frame[name] = x[name].iloc[0]
@@ -106,21 +110,22 @@ def dense_products(a: DataFrame, b: DataFrame, keys: list[str], tile: int, dtype
     schema = ", ".join(f"{k} {kinds[k]}" for k in keys) + f", bi int, bj int, vals array<{dtype}>"
     cols = [*keys, "bi", "bj", "vals"]
     if number is None:
-        return a.select(*cols).groupBy(*keys).cogroup(b.select(*cols).groupBy(*keys)).applyInPandas(product, schema)
+        made = a.select(*cols).groupBy(*keys).cogroup(b.select(*cols).groupBy(*keys)).applyInPandas(product, schema)
+        return not_a_number_kept(made, dtype)
     tasks = max(int(a.sparkSession.conf.get("spark.sql.shuffle.partitions")), 1)
     task = F.pmod(number, F.lit(tasks)).cast("int").alias("task")
     x, y = (f.select(task, *cols).repartitionById(tasks, F.col("task")).groupBy("task", *keys) for f in (a, b))
-    return x.cogroup(y).applyInPandas(product, schema)
+    return not_a_number_kept(x.cogroup(y).applyInPandas(product, schema), dtype)
 
 
 def tile_gemm(tile: int, dtype: str):
     """Vectorised UDF: product of two square tiles."""
-    kind = np.int64 if dtype == "bigint" else np.float64
+    kind = numpy_kind(dtype)
 
     @F.pandas_udf(f"array<{dtype}>")
     def gemm(a: pd.Series, b: pd.Series) -> pd.Series:
-        x, y = (np.stack([np.asarray(v) for v in s]).reshape(-1, tile, tile) for s in (a, b))
-        return pd.Series([classical_product(p, q).astype(kind).ravel() for p, q in zip(x, y, strict=True)])
+        x, y = (np.stack([as_numpy(v, dtype) for v in s]).reshape(-1, tile, tile) for s in (a, b))
+        return pd.Series([as_cells(classical_product(p, q).astype(kind).ravel(), dtype) for p, q in zip(x, y, strict=True)])
 
     return gemm
 
@@ -130,4 +135,4 @@ def tile_products(a: DataFrame, b: DataFrame, keys: list[str], tile: int, dtype:
     x = a.select(*keys, "bi", F.col("bj").alias("k"), F.col("vals").alias("x"))
     y = b.select(*keys, F.col("bi").alias("k"), "bj", F.col("vals").alias("y"))
     parts = x.join(y, [*keys, "k"]).select(*keys, "bi", "bj", tile_gemm(tile, dtype)("x", "y").alias("vals"))
-    return sum_tiles(parts, [*keys, "bi", "bj"])
+    return sum_tiles(not_a_number_kept(parts, dtype), [*keys, "bi", "bj"])

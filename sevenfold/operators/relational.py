@@ -5,6 +5,13 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from sevenfold.operators.tiles import durable
+
+
+def checked_broadcast(df: DataFrame, rows: int = 100_000) -> DataFrame:
+    """Marked for broadcast only if it is counted to hold at most ``rows`` rows; beyond, Spark joins by shuffle."""
+    return F.broadcast(df) if df.count() <= rows else df
+
 
 def slice_cells(x: DataFrame, rows: tuple[int, int], cols: tuple[int, int]) -> DataFrame:
     """Cells of half-open ranges; both reach the scan as filters."""
@@ -68,8 +75,6 @@ def index_keys(df: DataFrame, column: str) -> DataFrame:
     """
     keys = df.select(F.col(column).alias("key")).where("key is not null").distinct()
     spread = keys.repartitionByRange(int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), "key").withColumn("p", F.spark_partition_id())
-    from sevenfold.operators.tiles import durable
-
     spread = durable(spread)
     counts = spread.groupBy("p").agg(F.count("*").alias("n"))
     before = counts.select("p", F.coalesce(F.sum("n").over(Window.orderBy("p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("offset"))

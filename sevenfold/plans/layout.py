@@ -1,8 +1,8 @@
-"""Block-cyclic layouts over 7**k logical workers, and their algebra."""
+"""Block-cyclic layouts over q**k logical workers for schemes of n0 x n0 blocks and q products; 7 and 2 by default."""
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
 from pyspark.sql import Column
 from pyspark.sql import functions as F
@@ -20,9 +20,9 @@ def digits_of(p: int, base: int = 7) -> int:
 
 @dataclass(frozen=True)
 class LayoutSpec:
-    """An n x n matrix, dealt for ``levels`` recursion levels to ``workers`` = 7**k.
+    """An n x n matrix, dealt for ``levels`` recursion levels to ``workers`` = q**k.
 
-    Cyclic grid of 7**floor(k/2) x 7**ceil(k/2). ``fine`` divides the coarsest
+    Cyclic grid of q**floor(k/2) x q**ceil(k/2). ``fine`` divides the coarsest
     block that still deals every submatrix of depth ``levels`` evenly.
     """
 
@@ -30,24 +30,26 @@ class LayoutSpec:
     workers: int
     levels: int
     fine: int = 1
+    q: int = 7
+    n0: int = 2
 
     @property
     def k(self) -> int:
-        return digits_of(self.workers)
+        return digits_of(self.workers, self.q)
 
     @property
     def grid(self) -> tuple[int, int]:
-        return 7 ** (self.k // 2), 7 ** (self.k - self.k // 2)
+        return self.q ** (self.k // 2), self.q ** (self.k - self.k // 2)
 
     @property
     def block(self) -> tuple[int, int]:
         rows, cols = self.grid
-        return self.n // (2**self.levels * rows * self.fine), self.n // (2**self.levels * cols * self.fine)
+        return self.n // (self.n0**self.levels * rows * self.fine), self.n // (self.n0**self.levels * cols * self.fine)
 
     @property
     def unit(self) -> int:
         """n must be a multiple of this."""
-        return 2**self.levels * self.grid[1] * self.fine
+        return self.n0**self.levels * self.grid[1] * self.fine
 
     def check(self) -> LayoutSpec:
         if self.n % self.unit:
@@ -64,22 +66,22 @@ class LayoutSpec:
     def after(self, letter: str) -> LayoutSpec:
         """The layout of the subproblems after a wide or a serial level."""
         if letter == "W":
-            return LayoutSpec(self.n // 2, self.workers // 7, self.levels - 1, self.fine)
+            return replace(self, n=self.n // self.n0, workers=self.workers // self.q, levels=self.levels - 1)
         if letter == "S":
-            return LayoutSpec(self.n // 2, self.workers, self.levels - 1, self.fine)
+            return replace(self, n=self.n // self.n0, levels=self.levels - 1)
         raise ValueError(letter)
 
 
-def with_digit(owner: Column, place: int, digit: Column) -> Column:
-    """``owner`` with its base-7 digit at ``place`` (0 = rightmost) replaced."""
-    unit = 7**place
-    old = F.pmod(F.floor(owner / unit), F.lit(7))
+def with_digit(owner: Column, place: int, digit: Column, base: int = 7) -> Column:
+    """``owner`` with its digit at ``place`` (0 = rightmost) replaced."""
+    unit = base**place
+    old = F.pmod(F.floor(owner / unit), F.lit(base))
     return (owner + (digit - old) * unit).cast("int")
 
 
-def exchange_peers(owner: Column, place: int) -> Column:
-    """The seven workers that differ from ``owner`` in one digit at most."""
-    return F.transform(F.sequence(F.lit(0), F.lit(6)), lambda d: with_digit(owner, place, d))
+def exchange_peers(owner: Column, place: int, base: int = 7) -> Column:
+    """The workers that differ from ``owner`` in one digit at most."""
+    return F.transform(F.sequence(F.lit(0), F.lit(base - 1)), lambda d: with_digit(owner, place, d, base))
 
 
 def usable_workers(p: int, allow: tuple[int, ...] = (1, 2, 3, 6)) -> tuple[int, int, int]:

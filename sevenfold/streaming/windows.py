@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from sevenfold.operators.hybrid import sql_multiply
-from sevenfold.operators.tiles import durable
+from sevenfold.operators.tiles import durable, release, shared_folder
 
 EVENTS = "event_id long, ts timestamp, user_id long, event_type string, value double, props string"
 
@@ -20,17 +20,29 @@ def stream_events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.readStream.schema(EVENTS).option("pathGlobFilter", "events.parquet").option("maxFilesPerTrigger", 1).parquet(sf_dir)
 
 
-def _shared(spark: SparkSession) -> str:
-    sc = spark.sparkContext
-    if not sc.getCheckpointDir():
-        durable(spark.range(1))
-    return (spark.conf.get("spark.checkpoint.dir", None) or sc.getCheckpointDir()).rstrip("/")
+def slices_by_time(spark: SparkSession, sf_dir: str, parts: int = 3) -> list[DataFrame]:
+    """The events of January in ``parts`` slices of time, in order."""
+    events = spark.read.schema(EVENTS).parquet(f"{sf_dir}/events.parquet")
+    cuts = [f"2024-01-{1 + k * 31 // parts:02d}" for k in range(parts)]
+    part = F.lit(0)
+    for cut in cuts[1:]:
+        part = part + (F.col("ts") >= F.lit(cut).cast("timestamp")).cast("int")
+    return [events.where(part == k) for k in range(parts)]
+
+
+def stream_of_slices(slices: list[DataFrame]) -> DataFrame:
+    """A stream of which every slice is a micro-batch: a file each, one file a trigger."""
+    spark = slices[0].sparkSession
+    root = f"{shared_folder(spark)}/in-{uuid.uuid4().hex}"
+    for part in slices:
+        part.coalesce(1).write.mode("append").parquet(root)
+    return spark.readStream.schema(slices[0].schema).option("maxFilesPerTrigger", 1).parquet(root)
 
 
 def run_available_now(stream: DataFrame, mode: str = "append") -> DataFrame:
     """Run a stream over all that is there, to Parquet or, for complete output, to durable batches."""
     spark = stream.sparkSession
-    root = f"{_shared(spark)}/stream-{uuid.uuid4().hex}"
+    root = f"{shared_folder(spark)}/stream-{uuid.uuid4().hex}"
     writer = stream.writeStream.outputMode(mode).option("checkpointLocation", f"{root}/state").trigger(availableNow=True)
     if mode == "append":
         query = writer.format("parquet").option("path", f"{root}/out").start()
@@ -49,7 +61,7 @@ def run_in_slices(slices: list[DataFrame], build) -> tuple[DataFrame, int]:
     the result and how many (partly aggregated) rows came too late.
     """
     spark = slices[0].sparkSession
-    root = f"{_shared(spark)}/slices-{uuid.uuid4().hex}"
+    root = f"{shared_folder(spark)}/slices-{uuid.uuid4().hex}"
     late = 0
     for part in slices:
         part.write.mode("append").parquet(f"{root}/in")
@@ -85,8 +97,8 @@ def stream_enrich(stream: DataFrame, static: DataFrame, on: str) -> DataFrame:
     return stream.join(static, on)
 
 
-def stream_transitions(stream: DataFrame) -> DataFrame:
-    """Transitions between a user's successive events; the state is the last event, forgotten a day of event time later."""
+def stream_transitions(stream: DataFrame, forget_hours: int = 24) -> DataFrame:
+    """Transitions between a user's successive events; the state is the last event, forgotten some hours of event time later."""
 
     def follow(key, batches, state: GroupState):
         if state.hasTimedOut:
@@ -97,7 +109,7 @@ def stream_transitions(stream: DataFrame) -> DataFrame:
         kinds = rows["event_type"].tolist()
         pairs = list(zip([last, *kinds[:-1]], kinds, strict=True))
         state.update((kinds[-1],))
-        forget = max(int(rows["ts"].max().timestamp() * 1000), state.getCurrentWatermarkMs()) + 24 * 3600 * 1000
+        forget = max(int(rows["ts"].max().timestamp() * 1000), state.getCurrentWatermarkMs()) + forget_hours * 3600 * 1000
         state.setTimeoutTimestamp(forget)
         yield pd.DataFrame([(key[0], a, b) for a, b in pairs if a is not None], columns=["user_id", "before", "after"])
 
@@ -107,7 +119,7 @@ def stream_transitions(stream: DataFrame) -> DataFrame:
 def incremental_product(stream: DataFrame, to_cells, b: DataFrame) -> DataFrame:
     """C = A B kept up to date: every batch adds its dA times B, as the product is bilinear."""
     spark = stream.sparkSession
-    root = f"{_shared(spark)}/product-{uuid.uuid4().hex}"
+    root = f"{shared_folder(spark)}/product-{uuid.uuid4().hex}"
 
     def add(batch: DataFrame, number: int):
         delta = sql_multiply(to_cells(batch), b)
@@ -116,3 +128,28 @@ def incremental_product(stream: DataFrame, to_cells, b: DataFrame) -> DataFrame:
     stream.writeStream.foreachBatch(add).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start().awaitTermination()
     deltas = spark.read.schema("i long, j long, v long").parquet(f"{root}/delta")
     return deltas.groupBy("i", "j").agg(F.sum("v").alias("v")).where("v <> 0")
+
+
+def two_sided_product(stream: DataFrame, to_a, to_b) -> DataFrame:
+    """C = A B where both factors grow: every batch adds dA B + A dB + dA dB, each by sparse joins of what changed."""
+    spark = stream.sparkSession
+    root = f"{shared_folder(spark)}/product-{uuid.uuid4().hex}"
+    cells = "i long, j long, v long"
+    held: dict[str, DataFrame] = {}
+
+    def summed(x: DataFrame) -> DataFrame:
+        return x.groupBy("i", "j").agg(F.sum("v").alias("v")).where("v <> 0")
+
+    def add(batch: DataFrame, number: int):
+        da, db = durable(to_a(batch)), durable(to_b(batch))
+        a, b = (held.get(k, spark.createDataFrame([], cells)) for k in "ab")
+        delta = sql_multiply(da, b).unionByName(sql_multiply(a, db)).unionByName(sql_multiply(da, db))
+        summed(delta).write.mode("overwrite").parquet(f"{root}/delta/batch={number}")
+        for name, old, new in (("a", a, da), ("b", b, db)):
+            before = held.get(name)
+            held[name] = durable(summed(old.unionByName(new)))
+            release(before)
+            release(new)
+
+    stream.writeStream.foreachBatch(add).option("checkpointLocation", f"{root}/state").trigger(availableNow=True).start().awaitTermination()
+    return summed(spark.read.schema(cells).parquet(f"{root}/delta"))
