@@ -67,6 +67,37 @@ def test_language(spark):
     assert empty.predict("abc") == ("und", 0.0)
 
 
+def test_ftrl_equals_a_plain_version():
+    """Every update by the textbook formulas, coordinate by coordinate, against the vectorised fit."""
+    rng, spec = np.random.default_rng(0), language.LanguageSpec(bits=4, epochs=2)
+    idf, rows = rng.uniform(1, 3, 16), []
+    for k in range(12):
+        idx = np.sort(rng.choice(16, 5, replace=False))
+        rows.append((k % 3, idx, rng.integers(1, 4, 5)))
+    z, n = np.zeros((16, 3)), np.zeros((16, 3))
+
+    def weight(i, y):
+        if abs(z[i, y]) <= spec.l1:
+            return 0.0
+        return -(z[i, y] - np.sign(z[i, y]) * spec.l1) / ((spec.beta + n[i, y] ** 0.5) / spec.alpha + spec.l2)
+
+    for epoch in range(spec.epochs):
+        for k in np.random.default_rng(epoch).permutation(len(rows)):
+            y, idx, counts = rows[k]
+            x = language._weights(idx, counts, idf)
+            w = {(i, c): weight(i, c) for i in idx for c in range(3)}
+            logit = np.array([sum(v * w[i, c] for i, v in zip(idx, x, strict=True)) for c in range(3)])
+            p = np.exp(logit - logit.max()) / np.exp(logit - logit.max()).sum()
+            for i, v in zip(idx, x, strict=True):
+                for c in range(3):
+                    g = v * (p[c] - (c == y))
+                    sigma = ((n[i, c] + g * g) ** 0.5 - n[i, c] ** 0.5) / spec.alpha
+                    z[i, c] += g - sigma * w[i, c]
+                    n[i, c] += g * g
+    want = np.array([[weight(i, c) for c in range(3)] for i in range(16)])
+    assert np.allclose(language._fit_ftrl(rows, 3, idf, spec), want) and np.abs(want).max() > 0
+
+
 def test_language_held_out(spark):
     d = "/root/testdata/sf0.01"
     got = language.op1_language(spark, d).where("held_out").join(spark.read.parquet(f"{d}/documents.parquet").select("doc_id", "lang"), "doc_id")
