@@ -4,6 +4,7 @@ import hashlib
 import itertools
 import random
 import re
+from collections import Counter
 
 import numpy as np
 import pandas as pd
@@ -14,7 +15,7 @@ from pyspark.sql import functions as F
 from sevenfold.llm import chat, decontaminate, exact_dedup, language, mixing, secrets, simhash, token_counts, toxicity, warc
 from sevenfold.llm.common import small_side, words_of
 from sevenfold.llm.graph import connected_components, local_components
-from sevenfold.llm.shingles import shingle_sets, similar_components
+from sevenfold.llm.shingles import common_shingles, shingle_sets, similar_components
 
 DOCS = "doc_id long, text string, lang string, source string, n_chars long, fp string, keep_id string, size string, score string, row string, id string, key string"
 WORDS = "alpha beta gamma delta eps zeta eta theta iota kappa lamda mu nu xi omicron pi rho sigma tau ypsilon".split()
@@ -494,6 +495,22 @@ def test_near_copies_equal_brute_force(spark):
     assert (similar_components([sets[k] for k in range(len(rows))]) == label).all()
 
 
+def test_common_shingles_are_counted_over_all_texts(spark, monkeypatch):
+    rng = random.Random(4)
+    passages = [" ".join(rng.choice(WORDS) for _ in range(12)) for _ in range(6)]
+    rows = [" ".join([rng.choice(WORDS), *(p for k, p in enumerate(passages) if d % (k + 2) == 0)]) for d in range(200)] + [None, ""]
+    seen = Counter(s for _, _, value in shingle_sets(rows) for s in value.tolist())
+    docs = spark.createDataFrame(list(enumerate(rows)), "h long, text string").repartition(5)
+    monkeypatch.setattr("sevenfold.llm.shingles.FLUSH", 100)
+    value, n = common_shingles(docs, 5)
+    assert (value[1:] > value[:-1]).all()
+    assert dict(zip(value.tolist(), n.tolist(), strict=True)) == {s: c for s, c in seen.items() if c > 2}
+    monkeypatch.setattr("sevenfold.llm.shingles.COMMON", len(value) // 2)
+    some, often = common_shingles(docs, 5)
+    assert 0 < len(some) <= len(value) // 2 and often.min() > n[~np.isin(value, some)].max()
+    assert len(common_shingles(docs.where("false"), 5)[0]) == 0
+
+
 def test_components(spark):
     chain = [(k, k + 1) for k in range(40)] + [(100, 200), (300, 200), (7, 7)]
     got = {r.v: r.root for r in connected_components(spark.createDataFrame(chain, "a long, b long")).collect()}
