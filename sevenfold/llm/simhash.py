@@ -221,18 +221,28 @@ def op9_simhash(spark, sf_dir: str) -> DataFrame:
     return found.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
+def similar_groups(grouped: DataFrame, near: DataFrame) -> DataFrame:
+    """Links (a, b) between the groups ``s`` of (h, s) that hold texts of one group of checkpointed (h, root)."""
+    own = grouped.select("h", "s").distinct()
+    roots = durable(near.select(F.col("root").alias("h")).distinct())
+    tops = durable(own.join(small_side(roots), "h").select(F.col("h").alias("root"), F.col("s").alias("b")))
+    return own.join(small_side(near), "h").select("root", F.col("s").alias("a")).join(small_side(tops), "root").select("a", "b")
+
+
 def drop_near_copies(spark, docs: DataFrame, sf_dir: str, width: int = WIDTH, similarity: float = SIMILARITY) -> DataFrame:
     """Pipeline stage: of each group the document with the smallest doc_id stays.
 
-    Groups are of texts whose shingles of ``width`` words have at least that Jaccard
-    similarity, exactly; three bits of op9's fingerprints would miss most of them.
+    Groups are op9's: fingerprints linked within the budget. An exact search follows, and
+    joins groups that have texts whose shingles of ``width`` words are at least that similar
+    (Jaccard), which three bits would mostly miss; no link of the fingerprints is lost by it.
     Rows that tie in id are told apart by a hash of their text; of whole repeats one stays.
     """
     mark = F.xxhash64(F.coalesce("text", F.lit("")))
-    tagged = durable(docs.select(F.col("doc_id").alias("id"), mark.alias("h")))
+    tagged = durable(docs.select(F.col("doc_id").alias("id"), mark.alias("h"), _fingerprints(F.col("text")).alias("fp")))
+    grouped = durable(tagged.join(near_groups(tagged, "h"), "fp").select("id", "h", F.col("component_id").alias("s")))
     near = durable(near_copies(docs.select(mark.alias("h"), "text"), width, similarity))
-    near = small_side(near.select(F.col("h").alias("v"), "root"))
-    placed = tagged.join(near, tagged["h"] == near["v"], "left").select("id", "h", F.coalesce("root", "h").alias("component_id"))
+    joined = small_side(durable(connected_components(similar_groups(grouped, near))))
+    placed = grouped.join(joined, grouped["s"] == joined["v"], "left").select("id", "h", F.coalesce("root", "s").alias("component_id"))
     size = durable(placed.groupBy("component_id").agg(F.count("*").alias("n"), F.min(F.struct("id", "h")).alias("best")).where("n > 1"))
     members = placed.join(small_side(size), "component_id")
     gone = durable(members.where(~F.struct("id", "h").eqNullSafe(F.col("best"))).select("id", "h").distinct())
